@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from alignspark.llm import chat, sharding
+from alignspark.llm import bpe, chat, sharding, tokenids
 
-MODULES = {"op2_sharding": sharding, "op4_chat": chat}
+MODULES = {"op2_sharding": sharding, "op4_chat": chat, "op6_token_ids": tokenids, "op7_bpe": bpe}
 
 
 def queries():
