@@ -3,7 +3,7 @@
 Two multinomials over hashed words and word pairs are counted: one over all
 documents (raw), one over trusted documents (labelled good; a bounded sample of
 ids picks them). A document's score is the mean over its n-grams of
-log(trusted/raw) with add-one smoothing; it is kept when the base rules pass and
+log(trusted/raw) smoothed towards the raw shares; it is kept when the base rules pass and
 the score is at least ``threshold``. The decision depends on the counts and the
 text alone.
 
@@ -22,8 +22,9 @@ from pyspark.sql import functions as F
 
 from alignspark.llm.common import WORD, table
 
-#: Hash buckets of the multinomials; most trusted ids; lowest mean log ratio that is kept.
-BUCKETS, TRUSTED, THRESHOLD = 16384, 20_000, -0.1
+#: Hash buckets of the multinomials; prior n-grams of raw shape a bucket, which keep a small trusted set from
+#: condemning what it has not seen; neutral n-grams added to a text's length; most trusted ids; lowest score kept.
+BUCKETS, PRIOR, NEUTRAL, TRUSTED, THRESHOLD = 16384, 8, 16, 20_000, -0.1
 SPACE = r"[\x20\x09-\x0D]"
 MEASURES = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
 
@@ -66,8 +67,10 @@ def ratios(docs: DataFrame, labels: DataFrame, bound: int = TRUSTED) -> list[flo
         raw[g], good[g] = r, t
     if not sum(good):
         return [0.0] * BUCKETS
-    n_raw, n_good = sum(raw) + BUCKETS, sum(good) + BUCKETS
-    return [math.log((t + 1) / n_good) - math.log((r + 1) / n_raw) for r, t in zip(raw, good)]
+    prior = PRIOR * BUCKETS
+    n_raw, n_good = sum(raw) + BUCKETS, sum(good) + prior
+    shares = [(r + 1) / n_raw for r in raw]
+    return [math.log((t + prior * p) / n_good / p) for p, t in zip(shares, good)]
 
 
 def measure(docs: DataFrame) -> DataFrame:
@@ -110,7 +113,7 @@ def judge(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, boun
     model = ratios(docs, labels, bound)
     table_ = "array(" + ",".join(f"{x!r}D" for x in model) + ")"
     scored = measure(docs).withColumn("_g", F.expr(_grams())).withColumn(
-        "score", F.expr(f"IF(size(_g) = 0, 0D, aggregate(_g, 0D, (a, g) -> a + {table_}[g]) / size(_g))")
+        "score", F.expr(f"IF(size(_g) = 0, 0D, aggregate(_g, 0D, (a, g) -> a + {table_}[g]) / (size(_g) + {NEUTRAL}))")
     )
     return scored.withColumn("kept", F.expr(f"NOT base_failed AND score >= {threshold}D")).drop("_h", "_v", "_b", "_k", "_clash", "_p", "_g")
 
