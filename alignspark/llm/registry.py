@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from alignspark.llm import bpe, chat, quality, sharding, tokenids
+from alignspark.llm import bpe, chat, langid, quality, sharding, tokenids
 
-MODULES = {"op2_sharding": sharding, "op4_chat": chat, "op6_token_ids": tokenids, "op7_bpe": bpe, "op8_quality": quality}
+MODULES = {"op2_sharding": sharding, "op3_language": langid, "op4_chat": chat, "op6_token_ids": tokenids, "op7_bpe": bpe, "op8_quality": quality}
 
 
 def queries():
