@@ -7,7 +7,7 @@ all its non-overlapping occurrences), merges, and compacts the array; it ends
 when no word has a pair left to merge. Text first goes through the vocabulary's
 own rules: special strings apart, NFC, white space, lower case by single
 characters, the split pattern, and the byte alphabet. Distinct white-space
-delimited pieces are encoded once per batch and remembered up to a bound.
+delimited pieces are encoded once and remembered up to a bound.
 
 A null text is empty: no ids, empty decoded text. An empty table gives an empty
 result. Other columns are ignored.
@@ -18,16 +18,18 @@ from __future__ import annotations
 import hashlib
 import json
 import unicodedata
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from alignspark.llm.common import table
-from alignspark.llm.tokenids import runs, vocabulary_path
+from alignspark.llm.hashing import Texts, batches
+from alignspark.llm.vocabulary import vocabulary_path
+from alignspark.llm.wordtable import Ragged, WordTable, entries
 
-MEMO = 300_000
+BITS = 20
 
 
 def byte_alphabet() -> list[str]:
@@ -64,27 +66,51 @@ class MergeTable:
         order = np.argsort(keys, kind="stable")
         self.keys, self.rank, self.made = keys[order], order, made[order]
         split = next(p for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")["pattern"]["Regex"]
-        self.pattern = regex.compile(split)
+        self.pattern = regex.compile(split + r"|\n")
         self.specials = regex.compile("|".join(map(regex.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None
 
     # one word is the UTF-8 bytes of a pre-token
 
-    def words(self, text: str) -> list[bytes]:
-        """Pre-tokens of a text without special strings."""
-        text = unicodedata.normalize("NFC", text)
-        lowered = text.lower() if text.isascii() else "".join(map(str.lower, text))
-        return [w.encode("utf-8") for w in self.pattern.findall(lowered)]
-
-    def parts(self, piece: str) -> list[bytes | int]:
-        """Pre-tokens of a piece, with the ids of special strings in their places."""
-        if self.specials is None or "<" not in piece:
-            return self.words(piece)
-        out, at = [], 0
-        for m in self.specials.finditer(piece):
-            out += self.words(piece[at : m.start()])
-            out.append(self.special[m.group()])
-            at = m.end()
-        return out + self.words(piece[at:])
+    def words(self, text: str) -> list[str]:
+        """Pre-tokens (and line feeds) of a text without special strings."""
+        if not text.isascii():
+            # only the capital sigma has a lower case that depends on its place; the vocabulary's rules know none
+            text = unicodedata.normalize("NFC", text).replace("\u03a3", "\u03c3")
+        return self.pattern.findall(text.lower())
+
+    def parts(self, pieces: list[bytes]) -> tuple[list[str | int], np.ndarray, np.ndarray]:
+        """The distinct pre-tokens (and ids of special strings) of some pieces; all of them by number, and each one's piece."""
+        whole = b"\n".join(pieces).decode("utf-8")
+        found: list[str | int] = []
+        at = 0
+        if self.specials is not None and "<|" in whole:
+            for m in self.specials.finditer(whole):
+                found += self.words(whole[at : m.start()])
+                found.append(self.special[m.group()])
+                at = m.end()
+        found += self.words(whole[at:])
+        distinct = [*(set(found) - {"\n"})]
+        place: dict[str | int, int] = dict(zip(distinct, range(len(distinct))))
+        place["\n"] = -1
+        numbers = np.array(list(map(place.__getitem__, found)), dtype=np.int64)
+        cut = numbers < 0
+        return distinct, numbers[~cut], np.cumsum(cut)[~cut]
+
+    def assemble(self, pieces: list[bytes], encode: Callable[[list[str]], tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the pieces one after the other and their counts, from ids (and counts) of distinct words."""
+        distinct, numbers, owner = self.parts(pieces)
+        plain = [w for w in distinct if isinstance(w, str)]
+        ids, sizes = encode(plain)
+        if len(plain) < len(distinct):
+            is_word = np.array([isinstance(w, str) for w in distinct])
+            order = np.r_[np.flatnonzero(is_word), np.flatnonzero(~is_word)]
+            ids = np.r_[ids, [w for w in distinct if not isinstance(w, str)]]
+            sizes = np.r_[sizes, np.ones(len(distinct) - len(plain), dtype=np.int64)]
+            numbers = np.argsort(order)[numbers]
+        words = Ragged()
+        words.extend(ids.astype(np.int32), sizes)
+        flat, off = words.take(numbers)
+        return flat, np.bincount(owner, weights=np.diff(off), minlength=len(pieces)).astype(np.int64)
 
     def ranks(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Row in the pair table (or -1) and rank (or a large number) of each pair."""
@@ -144,39 +170,57 @@ class MergeTable:
         return " ".join([self.tokens[i] for i in ids])
 
 
+class Spelling:
+    """Byte strings by id, for joining whole runs at once: each is followed by a blank."""
+
+    def __init__(self, texts: list[bytes]):
+        self.rows = Ragged()
+        sizes = np.array([len(t) + 1 for t in texts], dtype=np.int64)
+        self.rows.extend(np.frombuffer(b" ".join(texts) + b" ", dtype=np.uint8), sizes)
+        self.rows.values = self.rows.values.astype(np.uint8)
+
+    def join(self, ids: np.ndarray, off: np.ndarray) -> list[memoryview]:
+        """For each run ``ids[off[i]:off[i+1]]`` its strings joined by single blanks."""
+        out = []
+        for lo in range(0, len(off) - 1, 256):  # a few hundred texts at a time bound the memory
+            part = off[lo : lo + 257]
+            flat, at = self.rows.take(ids[part[0] : part[-1]])
+            raw, cut = memoryview(flat), at[part - part[0]].tolist()
+            out += [raw[a : max(a, b - 1)] for a, b in zip(cut[:-1], cut[1:])]
+        return out
+
+
 class PieceCoder:
-    """Remembers for each piece its ids, their decimal text and their tokens."""
+    """Ids of whole runs of texts, remembering those of distinct pieces."""
+
+    def __init__(self, path: str):
+        self.rules = MergeTable(path)
+        self.table, self.ids = WordTable(BITS), Ragged()
+        self.decimal = Spelling([str(i).encode() for i in range(self.rules.size)])
+        self.tokens = Spelling([t.encode("utf-8") for t in self.rules.tokens])
 
-    def __init__(self, path: str, memo: int = MEMO):
-        self.table, self.memo = MergeTable(path), memo
-        self.known: dict[bytes, tuple] = {}
+    def words(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        ids, at = self.rules.merge([w.encode("utf-8") for w in words]) if words else (np.zeros(0, np.int64), np.zeros(1, np.int64))
+        return ids, np.diff(at)
 
     def learn(self, pieces: list[bytes]) -> None:
-        parts = [self.table.parts(p.decode("utf-8")) for p in pieces]
-        words = sorted({w for p in parts for w in p if isinstance(w, bytes)})
-        place = {w: i for i, w in enumerate(words)}
-        ids, at = self.table.merge(words) if words else (np.zeros(0, np.int64), np.zeros(1, np.int64))
-        listed, bounds, tokens = ids.tolist(), at.tolist(), self.table.tokens
-        for piece, part in zip(pieces, parts):
-            own: list[int] = []
-            for w in part:
-                if isinstance(w, int):
-                    own.append(w)
-                else:
-                    i = place[w]
-                    own += listed[bounds[i] : bounds[i + 1]]
-            self.known[piece] = (own, " ".join(map(str, own)), " ".join([tokens[i] for i in own]))
-
-    def pieces(self, texts: list[bytes]) -> list[list[tuple]]:
-        split = [t.split() for t in texts]
-        known = self.known
-        new = {p for words in split for p in words if p not in known}
-        if new:
-            if len(known) + len(new) > self.memo:
-                known.clear()
-                new = {p for words in split for p in words}
-            self.learn(sorted(new))
-        return [[known[p] for p in words] for words in split]
+        self.ids.extend(*self.rules.assemble(pieces, self.words))
+
+    def encode(self, texts: Texts) -> tuple[np.ndarray, np.ndarray]:
+        """All ids, and the id offsets of the texts."""
+        rows, at = entries(self.table, texts, self.learn, self.ids.clear)
+        ids, off = self.ids.take(rows)
+        return ids, off[at]
+
+
+_CODERS: dict[str, PieceCoder] = {}
+
+
+def coder_of(path: str) -> PieceCoder:
+    """One coder for each worker process: tasks share what it remembers."""
+    if path not in _CODERS:
+        _CODERS[path] = PieceCoder(path)
+    return _CODERS[path]
 
 
 def encode(docs: DataFrame, tokenizer: str | None = None, with_ids: bool = True) -> DataFrame:
@@ -184,29 +228,20 @@ def encode(docs: DataFrame, tokenizer: str | None = None, with_ids: bool = True)
     tokenizer = tokenizer or vocabulary_path()
 
     def coded(parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder = PieceCoder(tokenizer)
+        coder = coder_of(tokenizer)
         for batch in parts:
-            at = 0
-            for run in runs(batch.column(1)):
-                rows = coder.pieces(run)
-                n, idsha, textsha, ids = [], [], [], []
-                for row in rows:
-                    full = [p for p in row if p[0]]
-                    n.append(sum([len(p[0]) for p in full]))
-                    idsha.append(hashlib.sha256(" ".join([p[1] for p in full]).encode()).hexdigest())
-                    textsha.append(hashlib.sha256(" ".join([p[2] for p in full]).encode("utf-8")).hexdigest())
-                    if with_ids:
-                        ids.append(np.array([i for p in full for i in p[0]], dtype=np.int32))
-                out = [batch.column(0).slice(at, len(rows)), pa.array(n, pa.int64()), pa.array(idsha), pa.array(textsha)]
-                names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
+            for texts in batches(batch):
+                ids, off = coder.encode(texts)
+                out = [
+                    batch.column(0).slice(texts.first, texts.n), pa.array(np.diff(off)),
+                    pa.array([hashlib.sha256(x).hexdigest() for x in coder.decimal.join(ids, off)], pa.string()),
+                    pa.array([hashlib.sha256(x).hexdigest() for x in coder.tokens.join(ids, off)], pa.string()),
+                ]
                 if with_ids:
-                    bounds = np.r_[0, np.cumsum(n)].astype(np.int32)
-                    flat = np.concatenate(ids) if ids else np.zeros(0, np.int32)
-                    out.append(pa.ListArray.from_arrays(pa.array(bounds), pa.array(flat)))
-                    names.append("ids")
-                at += len(rows)
+                    out.append(pa.ListArray.from_arrays(pa.array(off.astype(np.int32)), pa.array(ids)))
                 yield pa.RecordBatch.from_arrays(out, names=names)
 
+    names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] + ["ids"] * with_ids
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
     return docs.select("doc_id", "text").mapInArrow(coded, schema)
 

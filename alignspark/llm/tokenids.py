@@ -12,9 +12,11 @@ tokens, u32 levels; then documents+1 u64 token offsets; then for each level:
 u64 chunks, the chunks, the bitmap bytes (padded to 64), the u64 rank directory.
 Segments are rows of a Parquet data set, so any store that Spark writes will do.
 
-Encoding uses the tokenizers library on each distinct white-space delimited
-piece of a batch; the vocabulary drops white space and no rule of it spans
-white space, so the pieces' ids joined are the text's ids.
+Encoding applies the vocabulary's text rules to each distinct white-space
+delimited piece and the tokenizers library's BPE model to each distinct word;
+the vocabulary drops white space and no rule of it spans white space, so the
+pieces' ids joined are the text's ids. Tests compare them with the library's own
+encoding of whole texts.
 
 A null text gives the end id only; an empty table gives an empty result.
 Documents with equal ids keep the order of their texts.
@@ -28,22 +30,20 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from alignspark.llm.bpe import MergeTable, byte_alphabet
 from alignspark.llm.common import stash_path, table
+from alignspark.llm.hashing import Texts, batches
+from alignspark.llm.vocabulary import vocabulary_path
+from alignspark.llm.wordtable import Ragged, WordTable, entries
 
 MAGIC, VERSION, STRIDE = b"DACS", 1, 512
-#: Tokens in a segment, and pieces that a worker remembers before it starts anew.
-SEGMENT_TOKENS, MEMO = 1 << 20, 400_000
+#: Tokens in a segment; bits of a worker's word table.
+SEGMENT_TOKENS, BITS = 1 << 20, 20
 END_ID = 1
-VOCABULARY = "word_bpe_49k.json"
-
-
-def vocabulary_path(name: str = VOCABULARY) -> str:
-    import public_tokenizers
-
-    return public_tokenizers.path(name)
 
 
 # --- the code -------------------------------------------------------------------------------------------------------
@@ -120,52 +120,49 @@ class Segment:
 
 
 class PieceEncoder:
-    """Ids of a text as bytes, through the library, remembering a bounded number of pieces."""
+    """Ids of whole runs of texts: the vocabulary's own text rules, then the library's BPE model for each new word."""
 
-    def __init__(self, path: str, memo: int = MEMO):
+    def __init__(self, path: str):
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.library = Tokenizer.from_file(path)
-        self.known: dict[bytes, bytes] = {}
-        self.memo = memo
+        self.rules, self.letters = MergeTable(path), byte_alphabet()
+        self.model = Tokenizer.from_file(path).model
+        self.table, self.ids = WordTable(BITS), Ragged()
+
+    def words(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        spell, tokenize, flat, sizes = self.letters, self.model.tokenize, [], []
+        for word in words:
+            if not (word.isascii() and word.isprintable()):
+                word = "".join([spell[b] for b in word.encode("utf-8")])
+            got = [t.id for t in tokenize(word)]
+            flat += got
+            sizes.append(len(got))
+        return np.array(flat, dtype=np.int64), np.array(sizes, dtype=np.int64)
 
     def learn(self, pieces: list[bytes]) -> None:
-        if len(self.known) + len(pieces) > self.memo:
-            self.known.clear()
-        for lo in range(0, len(pieces), 20_000):
-            part = pieces[lo : lo + 20_000]
-            got = self.library.encode_batch_fast([p.decode("utf-8") for p in part], add_special_tokens=False)
-            for piece, e in zip(part, got):
-                self.known[piece] = np.array(e.ids, dtype="<u4").tobytes()
-
-    def encode(self, texts: list[bytes]) -> list[bytes]:
-        split = [t.split() for t in texts]
-        known = self.known
-        new = {p for words in split for p in words if p not in known}
-        if new:
-            fresh = sorted(new)
-            if len(known) + len(fresh) > self.memo:  # all of this run's pieces must be known at once
-                fresh = sorted({p for words in split for p in words})
-            self.learn(fresh)
-        get = self.known.__getitem__
-        return [b"".join(map(get, words)) for words in split]
-
-
-def runs(column: pa.Array, limit: int = 1 << 20) -> Iterator[list[bytes]]:
-    """The texts of a column as UTF-8 bytes, in runs of about ``limit`` bytes."""
-    out, size = [], 0
-    for value in column.cast(pa.large_binary()):
-        text = value.as_py() or b""
-        out.append(text)
-        size += len(text)
-        if size >= limit:
-            yield out
-            out, size = [], 0
-    if out:
-        yield out
+        self.ids.extend(*self.rules.assemble(pieces, self.words))
+
+    def encode(self, texts: Texts, end_id: int) -> tuple[np.ndarray, np.ndarray]:
+        """All ids of some texts, each text's closed by the end id, and the id offsets of the texts."""
+        rows, at = entries(self.table, texts, self.learn, self.ids.clear)
+        ids, off = self.ids.take(rows)
+        bounds = off[at]
+        out = np.full(len(ids) + texts.n, end_id, dtype=np.uint32)
+        out[np.arange(len(ids)) + np.repeat(np.arange(texts.n), np.diff(bounds))] = ids
+        return out, bounds + np.arange(texts.n + 1)
+
+
+_ENCODERS: dict[str, PieceEncoder] = {}
+
+
+def encoder_of(path: str) -> PieceEncoder:
+    """One encoder for each worker process: tasks share what it remembers."""
+    if path not in _ENCODERS:
+        _ENCODERS[path] = PieceEncoder(path)
+    return _ENCODERS[path]
 
 
 def write_segments(docs: DataFrame, path: str, tokenizer: str | None = None, end_id: int = END_ID) -> None:
@@ -173,36 +170,26 @@ def write_segments(docs: DataFrame, path: str, tokenizer: str | None = None, end
     tokenizer = tokenizer or vocabulary_path()
 
     def segments(parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, tail = PieceEncoder(tokenizer), np.array([end_id], dtype="<u4").tobytes()
-        ids, sizes, held, turn = [], [], [], 0
-        from pyspark import TaskContext
-
-        part = TaskContext.get().partitionId()
+        encoder, part, turn = encoder_of(tokenizer), TaskContext.get().partitionId(), 0
+        ids, sizes, held, total = [], [], [], 0
 
         def flush():
-            nonlocal turn
-            offsets = np.concatenate([[0], np.cumsum(np.array(sizes, dtype=np.int64))])
-            blob = pack(offsets, np.frombuffer(b"".join(held), dtype="<u4"))
-            row = pa.RecordBatch.from_pydict(
-                {"part": [part], "turn": [turn], "n_tokens": [int(offsets[-1])], "doc_ids": [list(ids)], "segment": [blob]}, schema=kind
+            blob = pack(np.r_[0, np.cumsum(np.concatenate(sizes))], np.concatenate(held))
+            return pa.RecordBatch.from_pydict(
+                {"part": [part], "turn": [turn], "n_tokens": [total], "doc_ids": [pa.concat_arrays(ids)], "segment": [blob]}, schema=kind
             )
-            ids.clear(), sizes.clear(), held.clear()
-            turn += 1
-            return row
 
         for batch in parts:
-            numbers = batch.column(0).to_pylist()
-            at, total = 0, sum(sizes)
-            for run in runs(batch.column(1)):
-                for code in encoder.encode(run):
-                    held.append(code + tail)
-                    sizes.append(len(code) // 4 + 1)
-                    ids.append(numbers[at])
-                    at += 1
-                    total += sizes[-1]
-                    if total >= SEGMENT_TOKENS:
-                        yield flush()
-                        total = 0
+            for texts in batches(batch):
+                codes, off = encoder.encode(texts, end_id)
+                held.append(codes)
+                sizes.append(np.diff(off))
+                ids.append(batch.column(0).slice(texts.first, texts.n))
+                total += len(codes)
+                if total >= SEGMENT_TOKENS:
+                    yield flush()
+                    turn += 1
+                    ids, sizes, held, total = [], [], [], 0
         if ids:
             yield flush()
 
