@@ -66,7 +66,7 @@ class IdFilter:
         """Built by an aggregate over 64-bit words: at most BITS/64 rows reach the driver (8 MB)."""
         hits = ids.select(F.explode(F.array(*cls._positions(F.col(column)))).alias("p"))
         rows = hits.groupBy((F.col("p") / 64).cast("int").alias("w")).agg(
-            F.bit_or(F.shiftleft(F.lit(1).cast("long"), (F.col("p") % 64).cast("int"))).alias("m")
+            F.bit_or(F.expr("shiftleft(1L, CAST(p % 64 AS INT))")).alias("m")
         )
         words = np.zeros(cls.BITS // 64, dtype=np.int64)
         got = rows.toArrow()
