@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from alignspark.llm import bpe, chat, decontaminate, langid, quality, secrets, sharding, substrings, tokenids
+from alignspark.llm import bpe, chat, decontaminate, jaccard, langid, quality, secrets, sharding, substrings, tokenids
 
-MODULES = {"op2_sharding": sharding, "op3_language": langid, "op4_chat": chat, "op5_secrets": secrets, "op6_token_ids": tokenids, "op7_bpe": bpe, "op8_quality": quality, "op9_decontamination": decontaminate, "op10_substrings": substrings}
+MODULES = {"op1_jaccard": jaccard, "op2_sharding": sharding, "op3_language": langid, "op4_chat": chat, "op5_secrets": secrets, "op6_token_ids": tokenids, "op7_bpe": bpe, "op8_quality": quality, "op9_decontamination": decontaminate, "op10_substrings": substrings}
 
 
 def queries():
