@@ -120,7 +120,7 @@ def windows(hashes: np.ndarray, at: np.ndarray, k: int) -> tuple[np.ndarray, np.
     return segment_hash(hashes, starts, starts + k), starts
 
 
-def batches(batch: pa.RecordBatch, column: str = "text", limit: int = 1 << 21) -> Iterator[Texts]:
+def batches(batch: pa.RecordBatch, column: str = "text", limit: int = 1 << 20) -> Iterator[Texts]:
     """The documents of an Arrow batch in runs of about ``limit`` bytes; null texts are empty."""
     col = batch.column(batch.schema.get_field_index(column))
     if isinstance(col, pa.ChunkedArray):

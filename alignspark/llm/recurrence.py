@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from alignspark.llm.hashing import U, deal, mix, undeal
 
 #: Entries that a task gathers before it deals them out.
-FLUSH = 3_000_000
+FLUSH = 500_000
 BLOB = "bucket int, kind int, blob binary"
 _KIND = pa.schema([("bucket", pa.int32()), ("kind", pa.int32()), ("blob", pa.binary())])
 

@@ -142,7 +142,7 @@ def repeated(docs: DataFrame, window: int = WINDOW, phrase: int = PHRASE) -> tup
             seed_rows, seed_places = places_of(blobs["blob"].to_pylist())
             batch = _one(texts_)
             rows = batch.column(batch.schema.get_field_index("row")).to_numpy()
-            for texts in batches(batch, limit=1 << 23):
+            for texts in batches(batch, limit=1 << 20):
                 hashes, at = texts.words()
                 own = rows[texts.first : texts.first + texts.n]
                 lo, hi = np.searchsorted(seed_rows, own, "left"), np.searchsorted(seed_rows, own, "right")
@@ -214,7 +214,7 @@ def dedup(docs: DataFrame, window: int = WINDOW, phrase: int = PHRASE) -> DataFr
             rows_at, places = places_of(blobs["blob"].to_pylist())
             batch = _one(texts_)
             rows = batch.column(batch.schema.get_field_index("row")).to_numpy()
-            for texts in batches(batch, limit=1 << 23):
+            for texts in batches(batch, limit=1 << 20):
                 _, at = texts.words()
                 own = rows[texts.first : texts.first + texts.n]
                 lo, hi = np.searchsorted(rows_at, own, "left"), np.searchsorted(rows_at, own, "right")
