@@ -28,7 +28,9 @@ def _packed(docs: DataFrame) -> DataFrame:
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     judged = quality.judge(_packed(docs), table(spark, sf_dir, "labels"))
-    return judged.where("kept").select("_row.*")
+    # the row number keeps the optimiser from moving the filter below the measures, which would copy them many times over
+    fenced = judged.select("_row", "kept", F.monotonically_increasing_id().alias("_fence"))
+    return fenced.where("kept AND _fence >= 0").select("_row.*")
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
