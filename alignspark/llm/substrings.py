@@ -112,7 +112,7 @@ def _one(table_: pa.Table) -> pa.RecordBatch:
 def repeated(docs: DataFrame, window: int = WINDOW, phrase: int = PHRASE) -> tuple[DataFrame, DataFrame, DataFrame]:
     """Documents that may hold repeated windows (by block), those that can't, and the places of repeated windows."""
     spark = docs.sparkSession
-    n = buckets(spark)
+    n = buckets(spark, 1)
     keyed = _keyed(docs)
     phrases = stash(recurring_phrases(keyed, n, window, phrase), "phrases")
 
