@@ -72,7 +72,7 @@ def warp(series: DataFrame, m: int, method: str = "dtw", band: int | None = 50,
         n = len(values)
         where = W.ttw(values) if method == "ttw" else W.procrustes(values, pairwise, iters) if n else np.zeros((0, m), np.int64)
         x = where + first
-        return pd.DataFrame({"grp": key[0], "pos": np.arange(1, n + 1), "x": list(x), "lam": np.int32(m), "w": 0.0, "w_fp": 0})
+        return pd.DataFrame({"grp": key[0], "pos": np.arange(1, n + 1), "x": pd.Series(list(x), dtype=object), "lam": np.int32(m), "w": 0.0, "w_fp": 0})
 
     return series.select("grp", "sid", "idx", "ts_us", "val").groupBy("grp").applyInPandas(run, ALIGN)
 

@@ -119,12 +119,13 @@ def naive(series: DataFrame, m: int, p: AlignParams, cap: int = 20_000) -> DataF
 def expand_block(times: np.ndarray, has: np.ndarray, m: int, theta: int, beta: int, lo: int, hi: int, first: int = 1, cap: int | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Candidates led by rows lo..hi (row numbers), in lexicographic order: x, lambda, time spread.
 
-    ``times`` (rows x series, NaN missing) and ``has`` hold rows first, first + 1, ...
+    ``times`` (rows x series, NaN missing) and ``has`` (1 present, 0 missing, -1 no such row) hold rows first, first + 1, ...
     Prefix after prefix over all leads at once; a broken prefix goes no further.
     """
     rows = len(times)
     x = np.arange(lo, hi + 1, dtype=np.int64)[:, None]
     x = x[(x[:, 0] >= first) & (x[:, 0] < first + rows)]
+    x = x[has[x[:, 0] - first, 0] >= 0]
     t = times[x[:, 0] - first, 0]
     low, high, lam = t.copy(), t.copy(), has[x[:, 0] - first, 0].astype(np.int64)
     i_lo, i_hi = x[:, 0].copy(), x[:, 0].copy()
@@ -136,6 +137,7 @@ def expand_block(times: np.ndarray, has: np.ndarray, m: int, theta: int, beta: i
         ok = (i >= first) & (i < first + rows)
         a, b = np.minimum(i_lo[back], i), np.maximum(i_hi[back], i)
         ok &= b - a <= beta
+        ok[ok] = has[i[ok] - first, j] >= 0
         i, back, a, b = i[ok], back[ok], a[ok], b[ok]
         t = times[i - first, j]
         lo_t, hi_t = np.fmin(low[back], t), np.fmax(high[back], t)
@@ -152,15 +154,17 @@ def expand_block(times: np.ndarray, has: np.ndarray, m: int, theta: int, beta: i
 def matrices(pdf: pd.DataFrame, m: int, by_cell: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
     """times, values, presence (rows x m) and the first row number of one group's long rows."""
     if not len(pdf):
-        return np.zeros((0, m)), np.zeros((0, m)), np.zeros((0, m), dtype=bool), 1
+        return np.zeros((0, m)), np.zeros((0, m)), np.zeros((0, m), dtype=np.int8), 1
     first, last = int(pdf["idx"].min()), int(pdf["idx"].max())
     times = np.full((last - first + 1, m), np.nan)
     values = times.copy()
     r, c = pdf["idx"].to_numpy(dtype=np.int64) - first, pdf["sid"].to_numpy(dtype=np.int64) - 1
     times[r, c] = pd.to_numeric(pdf["ts_us"]).to_numpy(dtype=float, na_value=np.nan)
     values[r, c] = pd.to_numeric(pdf["val"]).to_numpy(dtype=float, na_value=np.nan)
-    has = ~np.isnan(values)
-    return times, values, has & ~np.isnan(times) if by_cell else has, first
+    has = np.full(times.shape, -1, dtype=np.int8)
+    seen = ~np.isnan(values[r, c])
+    has[r, c] = seen & ~np.isnan(times[r, c]) if by_cell else seen
+    return times, values, has, first
 
 
 def numpy_weights(x: np.ndarray, lam: np.ndarray, p: AlignParams) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -176,7 +180,7 @@ def numpy_weights(x: np.ndarray, lam: np.ndarray, p: AlignParams) -> tuple[np.nd
 def _frame(grp: str, x: np.ndarray, lam: np.ndarray, spread: np.ndarray, p: AlignParams) -> pd.DataFrame:
     d, w, w_fp = numpy_weights(x, lam, p)
     phi = x.max(axis=1) - x.min(axis=1) if len(x) else np.zeros(0, np.int64)
-    return pd.DataFrame({"grp": grp, "x": list(x), "lam": lam.astype("int32"), "d": d, "phi": phi, "spread_us": spread, "w": w, "w_fp": w_fp})
+    return pd.DataFrame({"grp": grp, "x": pd.Series(list(x), dtype=object), "lam": lam.astype("int32"), "d": d, "phi": phi, "spread_us": spread, "w": w, "w_fp": w_fp})
 
 
 CAND = "grp string, x array<long>, lam int, d long, phi long, spread_us long, w double, w_fp long"
@@ -199,6 +203,8 @@ def odometer(series: DataFrame, m: int, p: AlignParams) -> DataFrame:
             if cur[level] >= limit:
                 level -= 1
                 continue
+            if has[cur[level], level] < 0:
+                continue
             t = times[cur[level], level]
             before = (low[level - 1], high[level - 1]) if level else (np.nan, np.nan)
             a, b = np.fmin(before[0], t), np.fmax(before[1], t)

@@ -24,7 +24,7 @@ ALIGN = "grp string, pos long, x array<long>, lam int, w double, w_fp long"
 
 def _result(grp: str, x: np.ndarray, lam: np.ndarray, w: np.ndarray, w_fp: np.ndarray, chosen: list[int]) -> pd.DataFrame:
     k = np.array(sorted(chosen), dtype=np.int64)
-    return pd.DataFrame({"grp": grp, "pos": np.arange(1, len(k) + 1), "x": list(x[k]) if len(k) else [], "lam": lam[k].astype("int32"), "w": w[k], "w_fp": w_fp[k]})
+    return pd.DataFrame({"grp": grp, "pos": np.arange(1, len(k) + 1), "x": pd.Series(list(x[k]), dtype=object), "lam": lam[k].astype("int32"), "w": w[k], "w_fp": w_fp[k]})
 
 
 def compose(cand: DataFrame, m: int, p: AlignParams, method: str = "greedy") -> DataFrame:

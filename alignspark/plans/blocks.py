@@ -66,6 +66,10 @@ def _run(x: np.ndarray, w: np.ndarray, p: AlignParams, method: str, state: dict,
             continue
         best = emit()
         clique = [] if any(a == b for a, b in zip(best, r)) else [k]
+    if clique and int(x[clique].max()) + p.beta <= hi:
+        # no later lead can conflict with a member: the winner is settled, and the next clique starts afresh either way
+        emit()
+        clique = []
     return chosen, {"clique": [rows[g] for g in clique], "won": sorted(r for r in won if r[0] >= hi + 1 - 2 * p.beta)}, state
 
 
