@@ -488,8 +488,16 @@ def linear_sql(c: str, outer: str) -> str:
 
 QUERIES["impute_linear_ts"] = (lambda s, d: I.interpolate(series(s, d, "evu"), "ts_us").select("grp", "sid", "idx", "ts_us"), linear_sql("ts_us", "floor({})::BIGINT AS ts_us"))
 QUERIES["impute_linear_val"] = (lambda s, d: I.interpolate(series(s, d, "evu"), "val").select("grp", "sid", "idx", F.round("val", 9).alias("val")), linear_sql("val", "round({}, 9) AS val"))
-QUERIES["impute_mean"] = (lambda s, d: I.impute_simple(series(s, d, "evu"), "mean").select("grp", "sid", "idx", F.round("val", 5).alias("val")), f"{cells('evu')} SELECT grp, sid, idx, round(coalesce(val, avg(val) OVER (PARTITION BY grp, sid)), 5) AS val FROM series")
-QUERIES["impute_median"] = (lambda s, d: I.impute_simple(series(s, d, "evu"), "median").select("grp", "sid", "idx", F.round("val", 5).alias("val")), f"{cells('evu')}, q AS (SELECT grp, sid, quantile_cont(val, 0.5) AS q FROM series GROUP BY 1, 2) SELECT grp, sid, idx, round(coalesce(val, q), 5) AS val FROM series JOIN q USING (grp, sid)")
+
+
+def filled(s: DataFrame, how: str) -> DataFrame:
+    """Imputed values rounded, known ones as they are."""
+    done = I.impute_simple(s.withColumn("had", F.col("val").isNotNull()), how)
+    return done.select("grp", "sid", "idx", F.when(F.col("had"), F.col("val")).otherwise(F.round("val", 3)).alias("val"))
+
+
+QUERIES["impute_mean"] = (lambda s, d: filled(series(s, d, "evu"), "mean"), f"{cells('evu')} SELECT grp, sid, idx, coalesce(val, round(avg(val) OVER (PARTITION BY grp, sid), 3)) AS val FROM series")
+QUERIES["impute_median"] = (lambda s, d: filled(series(s, d, "evu"), "median"), f"{cells('evu')}, q AS (SELECT grp, sid, quantile_cont(val, 0.5) AS q FROM series GROUP BY 1, 2) SELECT grp, sid, idx, coalesce(val, round(q, 3)) AS val FROM series JOIN q USING (grp, sid)")
 QUERIES["impute_locf"] = (lambda s, d: I.impute_simple(series(s, d, "evu"), "locf").select("grp", "sid", "idx", "val"), f"{cells('evu')} SELECT grp, sid, idx, coalesce(last_value(val IGNORE NULLS) OVER (PARTITION BY grp, sid ORDER BY idx ROWS UNBOUNDED PRECEDING), first_value(val IGNORE NULLS) OVER (PARTITION BY grp, sid ORDER BY idx ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING)) AS val FROM series")
 QUERIES["impute_seasonal"] = (lambda s, d: I.impute_simple(series(s, d), "seasonal").select("sid", "idx", F.round("val", 5).alias("val")), f"{cells()}, h AS (SELECT *, (ts_us // 3600000000) % 24 AS h FROM series), b AS (SELECT sid, h, avg(val) AS s FROM h GROUP BY 1, 2), a AS (SELECT sid, avg(val) AS m FROM series GROUP BY 1) SELECT h.sid, h.idx, round(coalesce(val, s, m), 5) AS val FROM h LEFT JOIN b ON b.sid = h.sid AND b.h = h.h JOIN a ON a.sid = h.sid")
 QUERIES["impute_lr"] = (lambda s, d: I.impute_model(series(s, d), 4, "imp_lr"), None)

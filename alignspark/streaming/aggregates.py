@@ -13,7 +13,8 @@ QUERIES: dict[str, tuple] = {}
 def stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events as a file stream with event time."""
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
-    raw = spark.readStream.schema(schema).parquet(f"{sf_dir}/events.parquet")
+    # a pattern, so that a table of one file and a table of many are both taken as a set of files
+    raw = spark.readStream.schema(schema).parquet(f"{sf_dir}/events.parque[t]")
     return raw.withColumn("at", F.col("ts").cast("timestamp"))
 
 

@@ -64,17 +64,17 @@ QUERIES["udf_weight"] = (
 def udaf_delta(spark, sf_dir):
     """Mean absolute step of every series by a grouped pandas aggregate."""
     s = W.build(spark, sf_dir, "evu", 0.0)
-    return s.groupBy("grp", "sid").agg(F.round(delta_udaf("idx", "val"), 5).alias("step"))
+    return s.groupBy("grp", "sid").agg(F.round(delta_udaf("idx", "val"), 9).alias("step"))
 
 
-QUERIES["udaf_delta"] = (udaf_delta, f"WITH {W.sql('evu', 0.0)}, l AS (SELECT grp, sid, abs(val - lag(val) OVER (PARTITION BY grp, sid ORDER BY idx)) AS s FROM series) SELECT grp, sid, round(avg(s), 5) AS step FROM l GROUP BY 1, 2")
+QUERIES["udaf_delta"] = (udaf_delta, f"WITH {W.sql('evu', 0.0)}, l AS (SELECT grp, sid, abs(val - lag(val) OVER (PARTITION BY grp, sid ORDER BY idx)) AS s FROM series) SELECT grp, sid, round(avg(s), 9) AS step FROM l GROUP BY 1, 2")
 
 
 def udtf_align(spark, sf_dir):
     """SQL entry: align_series over a table argument, partitioned by group."""
     W.build(spark, sf_dir, "evu", 0.2).createOrReplaceTempView("_align_series")
     register_align_series(spark)
-    return spark.sql(f"SELECT grp, x[0] AS i1, x[1] AS i2, x[2] AS i3, x[3] AS i4, w_fp FROM align_series(TABLE(SELECT grp, sid, idx, ts_us, val FROM _align_series) PARTITION BY grp, 4, {P.theta}L, {P.beta}, 'greedy')")
+    return spark.sql(f"SELECT grp, x[0] AS i1, x[1] AS i2, x[2] AS i3, x[3] AS i4, w_fp FROM align_series(TABLE(SELECT grp, sid, idx, ts_us, val FROM _align_series) PARTITION BY (grp), 4, {P.theta}L, {P.beta}, 'greedy')")
 
 
 QUERIES["udtf_align_series"] = (udtf_align, None)
