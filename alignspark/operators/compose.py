@@ -9,6 +9,7 @@ group, so candidates are never shuffled.
 from __future__ import annotations
 
 import itertools
+from fractions import Fraction
 
 import numpy as np
 import pandas as pd
@@ -47,6 +48,8 @@ def solve(x: np.ndarray, w_fp: np.ndarray, p: AlignParams, method: str, spread:
         return packing_start(x, w_fp)
     if method == "packing":
         return max(packing(x, w_fp), key=lambda c: sum(int(w_fp[k]) for k in c), default=[])
+    if method == "packing_parallel":
+        return packing_parallel(x, w_fp)
     if method == "exact":
         return exact_bnb(x, w_fp)
     raise ValueError(f"unknown composer {method!r}")
@@ -213,6 +216,39 @@ def packing(x: np.ndarray, w: np.ndarray, max_branches: int = 8, swap_size: int
     return results
 
 
+def packing_parallel(x: np.ndarray, w: np.ndarray, swap_size: int = 2, max_rounds: int = 200) -> list[int]:
+    """Local search in rounds: of each member's best improving swap all that don't touch one another are applied at once.
+
+    Swaps are taken by ratio (compared exactly); one is held back when it shares a candidate, or a conflict, with one
+    already taken in the round. Weight rises every round; it ends where the serial search would: no swap improves.
+    """
+    out: list[int] = []
+    for lo, hi in segments_of(x):
+        part, weight = x[lo:hi], [int(v) for v in w[lo:hi]]
+        conf = conflict_lists(part)
+        now = set(packing_start(part, w[lo:hi]))
+        for _ in range(max_rounds):
+            moves = []
+            for centre in sorted(now):
+                best = None
+                for q, gone in _swaps(part, w, conf, now, centre, swap_size):
+                    a, b = sum(weight[k] for k in q), sum(weight[k] for k in gone)
+                    if a > b and (best is None or a * best[1] > best[0] * b):
+                        best = (a, b, q, gone)
+                if best:
+                    moves.append(best)
+            if not moves:
+                break
+            touched: set[int] = set()
+            for a, b, q, gone in sorted(moves, key=lambda mv: (-Fraction(mv[0], mv[1]), mv[2])):
+                reach = {int(i) for k in q for i in conf[k]} | set(q) | gone
+                if not reach & touched:
+                    touched |= reach
+                    now = (now - gone) | set(q)
+        out += [lo + k for k in sorted(now)]
+    return out
+
+
 # --- audit ---------------------------------------------------------------------------------------------------------------
 
 

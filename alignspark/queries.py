@@ -261,6 +261,7 @@ QUERIES["greedy_hash_ties"] = (lambda s, d: out(K.align(series(s, d, "evu"), 4,
 QUERIES["expectation_live_only"] = (lambda s, d: out(K.align(series(s, d, "evu"), 4, P.with_(expect_live_only=True), "expectation")), None)
 QUERIES["expectation_best_disjoint"] = (lambda s, d: out(K.align(series(s, d, "evu"), 4, P.with_(expect_mode="best_disjoint"), "expectation")), None)
 QUERIES["packing_evu"] = (lambda s, d: out(K.align(series(s, d, "evu"), 4, P, "packing")), None)
+QUERIES["packing_parallel_evu"] = (lambda s, d: out(K.align(series(s, d, "evu"), 4, P, "packing_parallel")), None)
 
 
 def tiny_align(spark, method: str, p: AlignParams = TINY):

@@ -130,13 +130,15 @@ def test_weights_and_ratios(seed):
     moved = max(K.packing(x, w), key=total)
     assert total(best) >= total(moved) >= total(start)
     assert total(moved) >= M.bound_packing(3) * total(best) - 1
+    together = K.packing_parallel(x, w)
+    assert total(best) >= total(together) >= total(start)
     n = len(best)
     assert total(fold(x, w, p, "greedy")) >= M.bound_greedy(n, 3, top, low) * total(best) - 1
     assert total(fold(x, w, p, "expectation")) >= M.bound_expectation(n, 3, top, low) * total(best) - 1
     # nothing free is left by the heaviest-first start, and no result repeats a cell
     used = [{int(x[k, j]) for k in start} for j in range(3)]
     assert all(any(int(v) in u for v, u in zip(r, used)) for r in x)
-    for k in (fold(x, w, p, "greedy"), fold(x, w, p, "expectation"), moved, best):
+    for k in (fold(x, w, p, "greedy"), fold(x, w, p, "expectation"), moved, together, best):
         assert all(len({int(x[i, j]) for i in k}) == len(k) for j in range(3))
     # exact equals enumeration of all subsets on small candidate sets
     if len(x) <= 12:
