@@ -8,8 +8,8 @@ n_chars anew); BPE turns what is left into token ids.
 Stages 1 to 4 return exactly the columns they were given, so extra columns pass
 through whatever their names. Nulls, empty texts, repeated rows and empty tables
 follow the operators' own rules; texts that are null or too short fail the
-quality rules. Rows with a null doc_id are dropped by stage 2, which can name no
-document to keep for them.
+quality rules. A row with a null doc_id takes part in every stage; stage 2 keeps
+one row of each component, one without an id only where no row there has one.
 """
 
 from __future__ import annotations

@@ -30,3 +30,16 @@ def test_empty_documents(spark):
     for _, stage in corpus_pipeline.STAGES:
         docs = stage(spark, docs, SF)
         assert docs.count() == 0
+
+
+def test_one_row_of_each_component(spark):
+    """Rows without an id, repeated rows and two texts under one id: one row stays of each component, and all without tokens."""
+    prose = {k: " ".join(f"{k}{i}" for i in range(60)) for k in "abcde"}
+    rows = [(None, prose["a"], "lone"), (1, prose["b"], "once"), (1, prose["b"], "once"), (2, prose["c"], "c"), (2, prose["c"] + " end", "c"), (2, prose["d"], "d")]
+    rows += [(None, prose["d"] + " end", "d"), (None, prose["e"], "e"), (None, prose["e"], "e"), (None, prose["e"] + " end", "e"), (None, None, "bare"), (3, "", "bare"), (3, "", "bare")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, kept_id string").repartition(3)
+    out = corpus_pipeline.near_duplicate_stage(spark, docs, SF)
+    assert out.columns == docs.columns
+    got = [tuple(r) for r in out.collect()]
+    assert sorted(r[2] for r in got) == ["bare"] * 3 + ["c", "d", "e", "lone", "once"]
+    assert (2, prose["d"], "d") in got and (None, prose["a"], "lone") in got
