@@ -244,6 +244,25 @@ def test_jaccard_components(spark, monkeypatch, large, chunk):
     assert sorted(r.doc_id for r in kept.collect()) == sorted({w[1] for w in want}) and kept.columns == ["doc_id", "text", "n_words", "score"]
 
 
+@pytest.mark.parametrize("orders", [0, jaccard.ORDERS])
+def test_jaccard_null_id_bridge(spark, monkeypatch, orders):
+    """Texts that only rows without an id hold link documents, found by first tokens or (orders 0) by the matrix alone."""
+    if not orders:
+        monkeypatch.setattr(jaccard, "first_tokens", lambda keys, off: np.arange(jaccard.ORDERS * (len(off) - 1), dtype=np.int64).reshape(-1, jaccard.ORDERS) + int(keys[:1].sum() >> np.uint64(2)))
+    rows = []
+    for k in range(40):
+        w = [f"t{k}x{i}" for i in range(100)]
+        rows += [(2 * k + 1, " ".join(w[15:])), (2 * k + 2, " ".join(w[:-15]))] + [(None, " ".join(w))] * 3
+    rows += [(None, " ".join(f"z{i}" for i in range(30))), (None, " ".join(f"z{i}" for i in range(31))), (None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    got = collections.Counter((r.doc_id, r.n_shingles, r.component_id) for r in jaccard.join(docs).collect())
+    want = collections.Counter()
+    for k in range(40):
+        want.update({(2 * k + 1, 81, 2 * k + 1): 1, (2 * k + 2, 81, 2 * k + 1): 1, (None, 96, 2 * k + 1): 3})
+    want.update([(None, 26, None), (None, 27, None), (None, 0, None)])
+    assert got == want
+
+
 def test_jaccard_bitmap_bounds_overlap():
     rng = np.random.default_rng(4)
     for _ in range(50):
