@@ -1,8 +1,8 @@
 """Language identification with bit-sliced Bloom filters over character n-grams.
 
 One table of bytes stands for up to eight Bloom filters: bit ``l`` of a cell is
-language ``l``'s filter. One look-up of an n-gram (the AND of a few cells) gives
-the bitmask of all languages that hold it. For a text the bits are counted by
+language ``l``'s filter; more than eight languages have further tables. One look-up of an n-gram (the AND of a few cells) gives
+the bitmask of all of a table's languages that hold it. For a text the bits are counted by
 language, corrected for each filter's false positives, and the largest count
 decides; the score is its share of all corrected counts.
 
@@ -15,7 +15,6 @@ hash order); every text is predicted, whole.
 Null texts and texts without a letter are ``und`` with score 0. If no n-gram is
 known the commonest learned language is taken with score 0; equal counts go to
 the language that sorts first. Without training rows everything is ``und``.
-More than eight languages: the eight commonest are learned.
 """
 
 from __future__ import annotations
@@ -31,7 +30,7 @@ from alignspark.llm.common import table
 from alignspark.llm.hashing import U, mix
 
 N, SAMPLE, SHARE, LEAST = 4, 20_000, 0.12, 3
-CELL_BITS, PROBES, LANGUAGES = 22, 3, 8
+CELL_BITS, PROBES = 22, 3
 UNKNOWN = "und"
 _LETTER: list[np.ndarray] = []
 
@@ -96,26 +95,26 @@ class Filters:
 
     def __init__(self, names: list[str], keys: np.ndarray, masks: np.ndarray, common: int):
         self.names, self.common = names, common
-        self.cells = np.zeros(1 << CELL_BITS, dtype=np.uint8)
+        self.tables = [np.zeros(1 << CELL_BITS, dtype=np.uint8) for _ in range(0, len(names), 8)]
         for probe in range(PROBES):
-            np.bitwise_or.at(self.cells, cells(keys, probe), masks)
-        fill = [np.count_nonzero(self.cells & np.uint8(1 << i)) / len(self.cells) for i in range(len(names))]
+            at = cells(keys, probe)
+            for table_, mask in zip(self.tables, masks.T):
+                np.bitwise_or.at(table_, at, mask)
+        fill = [np.count_nonzero(self.tables[i // 8] & np.uint8(1 << i % 8)) / (1 << CELL_BITS) for i in range(len(names))]
         self.chance = np.array(fill) ** PROBES
 
-    def masks(self, keys: np.ndarray) -> np.ndarray:
-        out = self.cells[cells(keys, 0)]
-        for probe in range(1, PROBES):
-            out = out & self.cells[cells(keys, probe)]
-        return out
+    def masks(self, keys: np.ndarray) -> list[np.ndarray]:
+        at = [cells(keys, probe) for probe in range(PROBES)]
+        return [np.bitwise_and.reduce([table_[x] for x in at]) for table_ in self.tables]
 
     def predict(self, texts: list[str]) -> tuple[list[str], np.ndarray]:
         keys, owner, lettered = grams(texts)
         n, k = len(texts), len(self.names)
         if not k:
             return [UNKNOWN] * n, np.zeros(n)
-        mask = self.masks(keys)
+        masks = self.masks(keys)
         total = np.bincount(owner, minlength=n).astype(float)
-        counts = np.stack([np.bincount(owner, weights=(mask >> i) & 1, minlength=n) for i in range(k)], axis=1)
+        counts = np.stack([np.bincount(owner, weights=(masks[i // 8] >> (i % 8)) & 1, minlength=n) for i in range(k)], axis=1)
         right = np.maximum(0.0, (counts - total[:, None] * self.chance) / np.maximum(1e-9, 1.0 - self.chance))
         best = right.argmax(axis=1)
         whole = right.sum(axis=1)
@@ -143,23 +142,24 @@ def fit(rows: DataFrame, sample: int = SAMPLE) -> Filters:
     counted = rows.select("doc_id", "text", "lang").where("doc_id IS NOT NULL AND lang IS NOT NULL AND text IS NOT NULL").mapInArrow(count, "gram long, lang string, n long")
     got = counted.groupBy("gram", "lang").agg(F.sum("n").alias("n")).where(F.col("n") >= LEAST).toArrow()
     langs, n, gram = np.array(got["lang"].to_pylist(), dtype=object), got["n"].to_numpy(), got["gram"].to_numpy()
-    totals = {name: int(n[langs == name].sum()) for name in set(langs.tolist())}
-    names = sorted(sorted(totals, key=lambda x: (-totals[x], x))[:LANGUAGES])
+    names = sorted(set(langs.tolist()))
     if not names:
-        return Filters([], np.zeros(0, U), np.zeros(0, np.uint8), 0)
-    keys = np.unique(gram)
-    rates = np.zeros((len(keys), len(names)))
-    for i, name in enumerate(names):
-        own = langs == name
-        rates[np.searchsorted(keys, gram[own]), i] = n[own] / totals[name]
-    held = (rates > 0) & (rates >= SHARE * rates.max(axis=1, keepdims=True))
-    masks = (held << np.arange(len(names))).sum(axis=1).astype(np.uint8)
-    return Filters(names, keys.view(U), masks, int(np.argmax([totals[x] for x in names])))
+        return Filters([], np.zeros(0, U), np.zeros((0, 0), np.uint8), 0)
+    number = {name: i for i, name in enumerate(names)}
+    of = np.array([number[x] for x in langs.tolist()])
+    totals = np.bincount(of, weights=n)
+    keys, at = np.unique(gram, return_inverse=True)
+    rate, highest = n / totals[of], np.zeros(len(keys))
+    np.maximum.at(highest, at, rate)
+    held = rate >= SHARE * highest[at]
+    masks = np.zeros((len(keys), -(-len(names) // 8)), dtype=np.uint8)
+    np.bitwise_or.at(masks, (at[held], of[held] // 8), (1 << of[held] % 8).astype(np.uint8))
+    return Filters(names, keys.view(U), masks, int(totals.argmax()))
 
 
 def identify(docs: DataFrame, filters: Filters) -> DataFrame:
     """doc_id, lang_pred, score for every row; only the text is looked at."""
-    held = docs.sparkSession.sparkContext.broadcast(filters)  # 4 MB, whatever the corpus
+    held = docs.sparkSession.sparkContext.broadcast(filters)  # 4 MB for every eight languages, whatever the corpus
 
     def predict(parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = held.value

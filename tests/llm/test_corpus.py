@@ -171,6 +171,17 @@ def test_language_held_out(spark):
     assert {r.lang_pred for r in nothing.collect()} == {"und"}
 
 
+def test_language_more_than_eight(spark):
+    """A filter table holds eight languages; the others are learned as well."""
+    rng = random.Random(6)
+    vocabulary = [["".join(chr(97 + (7 * k + rng.randrange(9)) % 26) for _ in range(7)) for _ in range(30)] for k in range(19)]
+    rows = [(19 * i + k, " ".join(rng.choices(vocabulary[k], k=12 + 19 - k)), f"l{k:02}") for k in range(19) for i in range(6)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    got = langid.identify(docs, langid.fit(docs)).collect()
+    want = {i: lang for i, _, lang in rows}
+    assert len(got) == len(rows) and all(r.lang_pred == want[r.doc_id] and r.score > 0.5 for r in got)
+
+
 # --- secrets --------------------------------------------------------------------------------------------------------------
 
 
