@@ -16,12 +16,13 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from alignspark.llm.common import tidy
 from alignspark.llm.hashing import U, deal, mix, undeal
 
 #: Entries that a task gathers before it deals them out.
 FLUSH = 500_000
 BLOB = "bucket int, kind int, blob binary"
-_KIND = pa.schema([("bucket", pa.int32()), ("kind", pa.int32()), ("blob", pa.binary())])
+KIND = pa.schema([("bucket", pa.int32()), ("kind", pa.int32()), ("blob", pa.binary())])
 
 
 def block_of(rows: np.ndarray, blocks: int) -> np.ndarray:
@@ -64,7 +65,7 @@ class Gather:
         k, known = keys[head], (size > 1).astype(np.uint8)
         bucket = (k % U(self.buckets)).astype(np.int64)
         out += [(b, 0, blob) for b, blob in deal(bucket, [k, rows[head], places[head], known])]
-        yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], t.type) for i, t in enumerate(_KIND)], schema=_KIND)
+        yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], t.type) for i, t in enumerate(KIND)], schema=KIND)
 
 
 def settle(gathered: DataFrame, blocks: int) -> DataFrame:
@@ -84,6 +85,7 @@ def settle(gathered: DataFrame, blocks: int) -> DataFrame:
             hit = np.repeat((size > 1) | (marked > 0), size) & (known == 0)
             r, p = rows[hit], places[hit]
             out += list(deal(block_of(r, blocks), [r, p]))
+        tidy()
         return pa.table({"block": pa.array([o[0] for o in out], pa.int32()), "blob": pa.array([o[1] for o in out], pa.binary())})
 
     return gathered.groupBy("bucket").applyInArrow(reduce, "block int, blob binary")

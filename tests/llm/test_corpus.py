@@ -226,10 +226,12 @@ def brute_components(texts):
     return [(len(s), root(i)) for i, s in enumerate(sets)]
 
 
-@pytest.mark.parametrize("large,chunk", [(64, 96), (3, 6)])
-def test_jaccard_components(spark, monkeypatch, large, chunk):
-    monkeypatch.setattr(jaccard, "LARGE", large)
+@pytest.mark.parametrize("chunk,askers,hot", [(96, 256, 4096), (6, 2, 5)])
+def test_jaccard_components(spark, monkeypatch, chunk, askers, hot):
+    """With small chunks, few askers in a task and tokens that are hot from five classes on, too."""
     monkeypatch.setattr(jaccard, "CHUNK", chunk)
+    monkeypatch.setattr(jaccard, "ASKERS", askers)
+    monkeypatch.setattr(jaccard, "HOT", hot)
     rng = random.Random(8)
     voc = [f"w{i}" for i in range(900)]
     base = [rng.choice(voc) for _ in range(90)]
