@@ -4,32 +4,39 @@ The symbols of many words stand in one flat array. Each round finds, for every
 adjacent pair within a word, its rank by binary search over the sorted pair keys
 of the merge table, takes the lowest-ranked pair of each word (leftmost first,
 all its non-overlapping occurrences), merges, and compacts the array; it ends
-when no word has a pair left to merge. Text first goes through the vocabulary's
+when no word has a pair left to merge. A word of over ``LONG`` bytes, for which
+every round would pass over the whole word again, takes its merges one by one in
+the same order (rank, then place) from a queue. Text first goes through the vocabulary's
 own rules: special strings apart, NFC, white space, lower case by single
 characters, the split pattern, and the byte alphabet. Distinct white-space
 delimited pieces are encoded once and remembered up to a bound.
 
-A null text is empty: no ids, empty decoded text. An empty table gives an empty
-result. Other columns are ignored.
+A null text is empty: no ids, empty decoded text. Texts of any length are encoded
+whole. Ranks are distinct, so the only ties are places, and the left one goes
+first. Repeated rows give repeated results. An empty table gives an empty
+result. Other columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
 
 import hashlib
+import heapq
 import json
 import unicodedata
+from array import array
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from alignspark.llm.common import table
+from alignspark.llm.common import table, tidy
 from alignspark.llm.hashing import Texts, batches
 from alignspark.llm.vocabulary import vocabulary_path
 from alignspark.llm.wordtable import Ragged, WordTable, entries
 
-BITS = 20
+#: Bits of a worker's word table; bytes from which a word is merged from a queue.
+BITS, LONG = 20, 1000
 
 
 def byte_alphabet() -> list[str]:
@@ -65,6 +72,7 @@ class MergeTable:
         keys = left * self.size + right
         order = np.argsort(keys, kind="stable")
         self.keys, self.rank, self.made = keys[order], order, made[order]
+        self.pairs: dict[int, tuple[int, int]] = {}
         split = next(p for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")["pattern"]["Regex"]
         self.pattern = regex.compile(split + r"|\n")
         self.specials = regex.compile("|".join(map(regex.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None
@@ -128,6 +136,11 @@ class MergeTable:
         symbols[last] = self.final[raw[last]]
         owner = np.repeat(np.arange(len(words)), sizes)
         done_ids, done_owner = [], []
+        for w in np.flatnonzero(sizes > LONG).tolist():
+            done_ids.append(self.merge_long(symbols[last[w] + 1 - sizes[w] : last[w] + 1]))
+            done_owner.append(np.full(len(done_ids[-1]), w))
+        short = np.repeat(sizes <= LONG, sizes)
+        symbols, owner = symbols[short], owner[short]
         while len(symbols):
             inner = owner[1:] == owner[:-1]
             row, rank = self.ranks(symbols[:-1], symbols[1:])
@@ -165,6 +178,40 @@ class MergeTable:
         order = np.argsort(who, kind="stable")
         return ids[order], np.r_[0, np.cumsum(np.bincount(who, minlength=len(words)))]
 
+    def merge_long(self, symbols: np.ndarray) -> np.ndarray:
+        """Ids of one long word: its merges by rank and place, those it starts with in sorted order, new ones from a heap."""
+        if not self.pairs:
+            self.pairs = dict(zip(self.keys.tolist(), zip(self.rank.tolist(), self.made.tolist())))
+        n, size, known = len(symbols), self.size, self.pairs.get
+        _, rank = self.ranks(symbols[:-1], symbols[1:])
+        order = np.argsort(rank, kind="stable")
+        order = order[: int((rank < 1 << 40).sum())]
+        sym, after, before = (array("i", x.astype("i4").tobytes()) for x in (symbols, np.arange(1, n + 1), np.arange(-1, n - 1)))
+        sorted_ones = ((r, i) for lo in range(0, len(order), 1 << 16) for r, i in zip(rank[order[lo : lo + (1 << 16)]].tolist(), order[lo : lo + (1 << 16)].tolist()))
+        head, fresh = next(sorted_ones, None), []
+        while head or fresh:
+            if fresh and (head is None or fresh[0] < head):
+                r, i = heapq.heappop(fresh)
+            else:
+                (r, i), head = head, next(sorted_ones, None)
+            j = after[i]
+            if sym[i] < 0 or j >= n:
+                continue
+            pair = known(sym[i] * size + sym[j])
+            if pair is None or pair[0] != r:
+                continue
+            sym[i], sym[j] = pair[1], -1
+            k, h = after[j], before[i]
+            after[i] = k
+            if k < n:
+                before[k] = i
+                if pair := known(sym[i] * size + sym[k]):
+                    heapq.heappush(fresh, (pair[0], i))
+            if h >= 0 and (pair := known(sym[h] * size + sym[i])):
+                heapq.heappush(fresh, (pair[0], h))
+        out = np.frombuffer(sym, dtype="i4")
+        return out[out >= 0].astype(np.int64)
+
     def decode(self, ids) -> str:
         """No decoder is set in the vocabulary: its tokens joined by spaces."""
         return " ".join([self.tokens[i] for i in ids])
@@ -240,6 +287,7 @@ def encode(docs: DataFrame, tokenizer: str | None = None, with_ids: bool = True)
                 if with_ids:
                     out.append(pa.ListArray.from_arrays(pa.array(off.astype(np.int32)), pa.array(ids)))
                 yield pa.RecordBatch.from_arrays(out, names=names)
+        tidy()
 
     names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] + ["ids"] * with_ids
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
