@@ -18,8 +18,11 @@ the vocabulary drops white space and no rule of it spans white space, so the
 pieces' ids joined are the text's ids. Tests compare them with the library's own
 encoding of whole texts.
 
-A null text gives the end id only; an empty table gives an empty result.
-Documents with equal ids keep the order of their texts.
+A null text gives the end id only; an empty table gives an empty result. A null
+doc_id comes first. Documents with equal ids keep the order of their texts, so
+repeated rows follow one another. A very long text is one document of one
+segment, which then is larger than the others. Other columns are ignored,
+whatever their names.
 """
 
 from __future__ import annotations
@@ -35,7 +38,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from alignspark.llm.bpe import MergeTable, byte_alphabet
-from alignspark.llm.common import stash_path, table
+from alignspark.llm.common import stash_path, table, tidy
 from alignspark.llm.hashing import Texts, batches
 from alignspark.llm.vocabulary import vocabulary_path
 from alignspark.llm.wordtable import Ragged, WordTable, entries
@@ -97,9 +100,7 @@ class Segment:
             value |= int(chunks[i]) << shift
             if not bits[i >> 3] >> (i & 7) & 1:
                 return value
-            block = i // STRIDE
-            before = np.unpackbits(bits[block * 64 : (i >> 3) + 1], bitorder="little")[: i - block * STRIDE].sum()
-            i, shift = int(ranks[block]) + int(before), shift + 8
+            i, shift = self._rank(bits, ranks, i), shift + 8
         return value
 
     def ids(self) -> np.ndarray:
@@ -112,8 +113,27 @@ class Segment:
             out = level
         return out
 
+    def span(self, lo: int, hi: int) -> np.ndarray:
+        """Ids ``lo`` to ``hi`` (not included): of every level only their own chunks are read."""
+        out, places, shift = np.zeros(hi - lo, dtype=np.uint32), np.arange(hi - lo), 0
+        for chunks, bits, ranks in self.levels:
+            out[places] |= chunks[lo:hi].astype(np.uint32) << np.uint32(shift)
+            on = np.unpackbits(bits[lo >> 3 : (hi + 7) >> 3], bitorder="little")[lo & 7 : (lo & 7) + hi - lo].astype(bool)
+            places, shift = places[on], shift + 8
+            if not len(places):
+                break
+            lo = self._rank(bits, ranks, lo)
+            hi = lo + len(places)
+        return out
+
+    @staticmethod
+    def _rank(bits: np.ndarray, ranks: np.ndarray, i: int) -> int:
+        """How many of the ids before ``i`` go on: a directory entry and the bits since."""
+        block = i // STRIDE
+        return int(ranks[block]) + int(np.unpackbits(bits[block * 64 : (i + 7) >> 3], bitorder="little")[: i - block * STRIDE].sum())
+
     def document(self, k: int) -> np.ndarray:
-        return self.ids()[int(self.offsets[k]) : int(self.offsets[k + 1])]
+        return self.span(int(self.offsets[k]), int(self.offsets[k + 1]))
 
 
 # --- encoding -------------------------------------------------------------------------------------------------------
@@ -192,6 +212,7 @@ def write_segments(docs: DataFrame, path: str, tokenizer: str | None = None, end
                     ids, sizes, held, total = [], [], [], 0
         if ids:
             yield flush()
+        tidy()
 
     kind = pa.schema([("part", pa.int32()), ("turn", pa.int32()), ("n_tokens", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("segment", pa.binary())])
     ordered = docs.select("doc_id", "text").repartitionByRange(F.col("doc_id")).sortWithinPartitions("doc_id", "text")
