@@ -1,7 +1,8 @@
 """Sharding by sampled splitters: size-weighted key samples, quantile boundaries, range partition.
 
-Rows are ordered by a key (here: a digest of the text, then the id, so equal
-texts stand together). A size-weighted sample of keys gives quantile
+Rows are ordered by a key (here: a digest of the text, the id, so equal
+texts stand together, and a row number that is written down once and parts rows
+which repeat each other; they can change places without changing the result). A size-weighted sample of keys gives quantile
 boundaries; every row falls into one range by binary search over them; ranges
 that turn out overfull are subdivided by a finer sample of their own keys.
 Exact sums per range then give each row its position in the whole order, and
@@ -13,9 +14,11 @@ Laws
              from the mean by less than one row's size.
   ``rows``   a row goes by its rank: counts differ by one at most.
 
-Null texts count as empty (size 1, checksum of no bytes). Repeated rows are
-placed like any others. An empty table gives an empty result. Columns other
-than id and text are ignored, whatever their names.
+Null texts count as empty (size 1, checksum of no bytes); a null id comes before
+others of its text. Repeated rows are placed like any others, and a boundary may
+fall among them. A very long text takes a shard's share and more as one row. An
+empty table gives an empty result. Columns other than id and text are ignored,
+whatever their names.
 """
 
 from __future__ import annotations
@@ -25,8 +28,10 @@ from pyspark.sql import functions as F
 
 from alignspark.llm.common import stash, table
 
-#: Ranges aimed at, sampled keys for each, and how much over its share a range may be before it is cut.
-RANGES, SAMPLES, OVERFULL, ROUNDS = 512, 24, 4.0, 3
+#: Rows in a range; fewest and most ranges (boundaries are part of the plan); sampled keys for each, and how much over
+#: its share a range may be before it is cut.
+RANGE_ROWS, FEWEST, MOST = 200_000, 64, 8192
+SAMPLES, OVERFULL, ROUNDS = 24, 4.0, 3
 
 
 def _unit(*cols: Column) -> Column:
@@ -42,10 +47,11 @@ def keyed(docs: DataFrame) -> DataFrame:
         (F.octet_length(text) + 1).cast("long").alias("size"),
         F.crc32(text).alias("text_crc32"),
         F.md5(text).alias("text_key"),
+        F.monotonically_increasing_id().alias("turn"),
     )
 
 
-KEY = ("text_key", "doc_id")
+KEY = ("text_key", "doc_id", "turn")
 
 
 def _key(cols=KEY) -> Column:
@@ -54,25 +60,30 @@ def _key(cols=KEY) -> Column:
 
 def _literal(row) -> str:
     number = "CAST(NULL AS BIGINT)" if row[1] is None else f"{row[1]}L"
-    return f"struct('{row[0]}' AS {KEY[0]}, {number} AS {KEY[1]})"
+    return f"struct('{row[0]}' AS {KEY[0]}, {number} AS {KEY[1]}, {row[2]}L AS {KEY[2]})"
+
+
+def _place(key: tuple) -> tuple:
+    """A key's place in the order; nulls first."""
+    return key[0], key[1] is not None, key[1], key[2]
 
 
 def sample_keys(rows: DataFrame, total: int, wanted: int, seed: int) -> list[tuple]:
     """Keys drawn with a chance in proportion to size (about ``wanted`` of them), with the weight each stands for."""
     step = max(1.0, total / wanted)
-    drawn = rows.where(_unit(F.col("doc_id"), F.col("text_key"), F.lit(seed)) < F.col("size") / F.lit(step))
+    drawn = rows.where(_unit(*map(F.col, KEY), F.lit(seed)) < F.col("size") / F.lit(step))
     got = drawn.select(*KEY, F.greatest(F.col("size").cast("double"), F.lit(step)).alias("weight")).collect()
-    return sorted(((r[0], r[1], r[2]) for r in got), key=lambda r: (r[0], r[1] is not None, r[1]))
+    return sorted(map(tuple, got), key=_place)
 
 
 def quantiles(sample: list[tuple], parts: int) -> list[tuple]:
     """Boundaries that cut the sampled weight into ``parts`` equal shares."""
-    total, run, cuts = sum(r[2] for r in sample), 0.0, []
+    total, run, cuts = sum(r[3] for r in sample), 0.0, []
     share = total / max(1, parts)
     for key in sample:
-        before, run = run, run + key[2]
-        if int(run / share) > int(before / share) and (not cuts or cuts[-1] != key[:2]):
-            cuts.append(key[:2])
+        before, run = run, run + key[3]
+        if int(run / share) > int(before / share) and (not cuts or cuts[-1] != key[:3]):
+            cuts.append(key[:3])
     return cuts
 
 
@@ -93,9 +104,10 @@ def range_of(splitters: list[tuple]) -> Column:
     )
 
 
-def ranged(rows: DataFrame, shards: int, ranges: int = RANGES) -> tuple[DataFrame, list[tuple[int, int, int]]]:
+def ranged(rows: DataFrame, ranges: int | None = None) -> tuple[DataFrame, list[tuple[int, int, int]]]:
     """Rows with their range, and (range, rows, bytes) of each range in order."""
-    total = rows.agg(F.sum("size")).first()[0] or 0
+    n_rows, total = rows.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
+    ranges = ranges or min(MOST, max(FEWEST, n_rows // RANGE_ROWS))
     splitters = quantiles(sample_keys(rows, total, ranges * SAMPLES, 1), ranges) if total else []
     share = total / max(1, ranges)
     for turn in range(ROUNDS + 1):
@@ -110,7 +122,7 @@ def ranged(rows: DataFrame, shards: int, ranges: int = RANGES) -> tuple[DataFram
             parts = int(size / share) + 1
             finer += quantiles(sample_keys(inside, size, parts * SAMPLES, turn + 2), parts)
         known = set(splitters)
-        splitters = sorted(known | set(finer), key=lambda r: (r[0], r[1] is not None, r[1]))
+        splitters = sorted(known | set(finer), key=_place)
 
 
 def shard(docs: DataFrame, shards: int = 8, law: str = "bytes") -> DataFrame:
@@ -118,14 +130,14 @@ def shard(docs: DataFrame, shards: int = 8, law: str = "bytes") -> DataFrame:
     if law not in ("bytes", "rows"):
         raise ValueError(f"unknown law {law!r}")
     rows = stash(keyed(docs), "shard-keys")
-    placed, sums = ranged(rows, shards)
+    placed, sums = ranged(rows)
     offsets, n, size = {}, 0, 0
     for part, count, volume in sums:
         offsets[part] = (n, size)
         n, size = n + count, size + volume
     starts = [offsets.get(p, (0, 0)) for p in range(max(offsets, default=0) + 1)]
     base = F.get(F.expr(f"array({', '.join(f'struct({a}L AS n, {b}L AS b)' for a, b in starts)})"), F.col("part"))
-    order = Window.partitionBy("part").orderBy(*KEY, "size")
+    order = Window.partitionBy("part").orderBy(*KEY)
     ranked = placed.withColumns({
         "rank": F.row_number().over(order) - 1 + base["n"],
         "above": F.sum("size").over(order.rowsBetween(Window.unboundedPreceding, 0)) - F.col("size") + base["b"],
