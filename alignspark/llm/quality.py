@@ -7,10 +7,11 @@ log(trusted/raw) smoothed towards the raw shares; it is kept when the base rules
 the score is at least ``threshold``. The decision depends on the counts and the
 text alone.
 
-Null and empty texts have no words and fail the base rules. Repeated rows are
-counted and judged like others. Without any trusted document the base rules
-decide alone. Columns other than id and text are carried by ``judge`` unless
-their names clash with the measures, which then replace them.
+Null and empty texts have no words and fail the base rules. A very long text is
+one row, measured whole. Repeated rows are counted and judged like others; a
+score equal to the threshold is kept. Without any trusted document the base rules
+decide alone. Empty tables give empty results. All columns are carried by
+``judge``; where a name clashes with a measure (``OUT``), the measure replaces it.
 """
 
 from __future__ import annotations
@@ -27,6 +28,7 @@ from alignspark.llm.common import WORD, table
 BUCKETS, PRIOR, NEUTRAL, TRUSTED, THRESHOLD = 16384, 8, 16, 20_000, -0.1
 SPACE = r"[\x20\x09-\x0D]"
 MEASURES = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
+OUT = [*MEASURES, "base_failed", "score", "kept"]
 
 
 def _words(docs: DataFrame) -> DataFrame:
@@ -49,9 +51,10 @@ def _grams() -> str:
 
 
 def trusted_ids(labels: DataFrame, bound: int = TRUSTED) -> DataFrame:
-    """At most ``bound`` ids of documents labelled good, the same for any partitioning."""
-    good = labels.where("quality = 1 AND doc_id IS NOT NULL").select("doc_id", F.xxhash64("doc_id").alias("at"))
-    return good.orderBy("at", "doc_id").limit(bound).select("doc_id").distinct()
+    """About ``bound`` ids of documents labelled good (all if there are fewer), by hash: the same for any partitioning."""
+    good = labels.where("quality = 1 AND doc_id IS NOT NULL").select("doc_id")
+    share = min(1.0, bound / max(1, good.count()))
+    return good.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int(share * (1 << 30))).distinct()
 
 
 def ratios(docs: DataFrame, labels: DataFrame, bound: int = TRUSTED) -> list[float]:
@@ -98,10 +101,12 @@ def measure(docs: DataFrame) -> DataFrame:
         "_p": F.expr(f"sort_array(transform(filter(_k, (k, j) -> IF(j > 0, {same.format('-').replace('_k[j - 1]', '_k[greatest(j - 1, 0)]')}, false)"
                      f" OR IF(j + 1 < size(_k), {same.format('+').replace('_k[j + 1]', '_k[least(j + 1, size(_k) - 1)]')}, false)), k -> {low}))"),
     })
-    # cut hashes that meet by chance: the plain comparison of whole hashes
-    marked = marked.withColumn("_p", F.expr(
-        "IF(_clash, filter(transform(_v, (x, i) -> i), i -> size(filter(_v, y -> y = _v[i])) > 1), _p)"
-    ))
+    # cut hashes that meet by chance, as they do in texts of some million words: whole hashes with their places, sorted
+    whole = (
+        "flatten(transform(array(sort_array(transform(_v, (x, i) -> named_struct('x', x, 'i', i)))), s -> sort_array(transform(filter(s, (k, j) ->"
+        " (j > 0 AND s[greatest(j - 1, 0)].x = k.x) OR (j + 1 < size(s) AND s[least(j + 1, size(s) - 1)].x = k.x)), k -> k.i))))"
+    )
+    marked = marked.withColumn("_p", F.expr(f"IF(_clash, {whole}, _p)"))
     covered = "aggregate(transform(_p, (p, i) -> IF(i + 1 < size(_p), least(5, _p[least(i + 1, size(_p) - 1)] - p), 5)), 0L, (a, x) -> a + x)"
     return marked.withColumn("n_repeat_words", F.expr(covered)).withColumn(
         "base_failed", F.expr("n_words < 10 OR 100 * n_repeat_words > 20 * n_words")
@@ -112,10 +117,13 @@ def judge(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, boun
     """All columns of ``docs`` with the measures, base_failed, score and kept."""
     model = ratios(docs, labels, bound)
     table_ = "array(" + ",".join(f"{x!r}D" for x in model) + ")"
-    scored = measure(docs).withColumn("_g", F.expr(_grams())).withColumn(
+    # the whole row beside its text, so that no column of ours can clash with the input's
+    packed = docs.select("text", F.struct(*[docs[c] for c in docs.columns]).alias("_row"))
+    scored = measure(packed).withColumn("_g", F.expr(_grams())).withColumn(
         "score", F.expr(f"IF(size(_g) = 0, 0D, aggregate(_g, 0D, (a, g) -> a + {table_}[g]) / (size(_g) + {NEUTRAL}))")
     )
-    return scored.withColumn("kept", F.expr(f"NOT base_failed AND score >= {threshold}D")).drop("_h", "_v", "_b", "_k", "_clash", "_p", "_g")
+    carried = [F.col("_row").getField(c).alias(c) for c in docs.columns if c not in OUT]
+    return scored.withColumn("kept", F.expr(f"NOT base_failed AND score >= {threshold}D")).select(*carried, *OUT)
 
 
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
