@@ -9,12 +9,15 @@ decides; the score is its share of all corrected counts.
 N-grams are four characters of the lower-cased text in which every run of
 non-letters is one blank. A language holds an n-gram when its rate there is at
 least ``SHARE`` of the n-gram's highest rate and it occurs ``LEAST`` times.
-The filters are fitted on a bounded sample of training rows (``SAMPLE`` rows, by
-hash order); every text is predicted, whole.
+The filters are fitted on a bounded sample of training rows (about ``SAMPLE``
+rows, chosen by a hash of the id; rows that repeat an id count once in a task);
+every text is predicted, whole, however long.
 
 Null texts and texts without a letter are ``und`` with score 0. If no n-gram is
 known the commonest learned language is taken with score 0; equal counts go to
-the language that sorts first. Without training rows everything is ``und``.
+the language that sorts first. Repeated rows are predicted alike. Without
+training rows everything is ``und``; an empty table gives an empty result. Other
+columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -26,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from alignspark.llm.common import table
+from alignspark.llm.common import table, tidy
 from alignspark.llm.hashing import U, mix
 
 N, SAMPLE, SHARE, LEAST = 4, 20_000, 0.12, 3
@@ -126,20 +129,21 @@ class Filters:
 
 def fit(rows: DataFrame, sample: int = SAMPLE) -> Filters:
     """Filters from a bounded sample of rows (doc_id, text, lang): n-gram counts are summed by Spark."""
-    chosen = rows.where("lang IS NOT NULL AND text IS NOT NULL").select("doc_id", F.xxhash64("doc_id").alias("at")).orderBy("at", "doc_id").limit(sample)
-    ids = np.array(sorted({r[0] for r in chosen.select("doc_id").collect() if r[0] is not None}), dtype=np.int64)
+    taught = rows.where("doc_id IS NOT NULL AND lang IS NOT NULL AND text IS NOT NULL").select("doc_id", "text", "lang")
+    share = min(1.0, sample / max(1, taught.select("doc_id", "lang").count()))
+    chosen = taught.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int(share * (1 << 30)))
 
     def count(parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[int] = set()
         for batch in parts:
-            mine = pa.array(np.isin(batch.column(0).fill_null(-1).to_numpy(zero_copy_only=False), ids))
-            batch = batch.filter(mine)
+            batch = batch.filter(pa.array([not (i in seen or seen.add(i)) for i in batch.column(0).to_pylist()], pa.bool_()))
             for lang in sorted({x for x in batch.column(2).to_pylist() if x is not None}):
                 own = batch.filter(pa.array([x == lang for x in batch.column(2).to_pylist()]))
                 for run in _runs(own.column(1), 1 << 21):
                     keys, n = np.unique(grams(run)[0], return_counts=True)
                     yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array([lang] * len(keys)), pa.array(n.astype(np.int64))], names=["gram", "lang", "n"])
 
-    counted = rows.select("doc_id", "text", "lang").where("doc_id IS NOT NULL AND lang IS NOT NULL AND text IS NOT NULL").mapInArrow(count, "gram long, lang string, n long")
+    counted = chosen.mapInArrow(count, "gram long, lang string, n long")
     got = counted.groupBy("gram", "lang").agg(F.sum("n").alias("n")).where(F.col("n") >= LEAST).toArrow()
     langs, n, gram = np.array(got["lang"].to_pylist(), dtype=object), got["n"].to_numpy(), got["gram"].to_numpy()
     names = sorted(set(langs.tolist()))
@@ -171,6 +175,7 @@ def identify(docs: DataFrame, filters: Filters) -> DataFrame:
                     [batch.column(0).slice(at, len(run)), pa.array(names, pa.string()), pa.array(score, pa.float64())], names=["doc_id", "lang_pred", "score"]
                 )
                 at += len(run)
+        tidy()
 
     return docs.select("doc_id", "text").mapInArrow(predict, "doc_id long, lang_pred string, score double")
 
