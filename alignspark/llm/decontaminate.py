@@ -10,7 +10,9 @@ compared lower-cased with white space squeezed to single blanks.
 Result: one row per (document, item) found, with the least distance and the
 place in the squeezed text. Null or blank documents and items match nothing. Items with equal texts
 are all reported. Repeated document rows give repeated result rows. Other
-columns are ignored by ``matches`` and kept by ``remove``.
+columns are ignored by ``matches`` and kept by ``remove``. Empty tables give
+empty results (no items: nothing is found, nothing removed). A very long text is
+streamed whole. Of equal distances the first place is taken.
 """
 
 from __future__ import annotations
@@ -22,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from alignspark.llm.common import table
+from alignspark.llm.common import table, tidy
 
 #: Edits allowed for each character of an item; most characters of items in one automaton (and one broadcast).
 RATE, SHARD_CHARS = 0.08, 4_000_000
@@ -162,6 +164,7 @@ def matches(docs: DataFrame, items: DataFrame, rate: float = RATE) -> DataFrame:
                     yield pa.RecordBatch.from_arrays(
                         [pa.array(c, pa.int64() if i < 2 else pa.int32()) for i, c in enumerate(columns)], names=["doc_id", "item_id", "distance", "start", "end"]
                     )
+            tidy()
 
         found = docs.select("doc_id", "text").mapInArrow(search, "doc_id long, item_id long, distance int, start int, end int")
         out = found if out is None else out.unionByName(found)
@@ -179,6 +182,7 @@ def remove(docs: DataFrame, items: DataFrame, rate: float = RATE) -> DataFrame:
             for batch in parts:
                 at = batch.schema.get_field_index("text")
                 yield batch.filter(pa.array([not (t.as_py() and matcher.search(t.as_py())) for t in batch.column(at)], pa.bool_()))
+            tidy()
 
         docs = docs.mapInArrow(clean, schema)
     return docs
