@@ -1,4 +1,7 @@
-"""The pipeline's stages: columns, decisions that take effect, and the whole run at the smallest scale."""
+"""The pipeline's stages: columns, decisions that take effect, the whole run at the smallest scale and against brute force."""
+
+import hashlib
+import random
 
 import pytest
 from pyspark.sql import functions as F
@@ -43,3 +46,40 @@ def test_one_row_of_each_component(spark):
     got = [tuple(r) for r in out.collect()]
     assert sorted(r[2] for r in got) == ["bare"] * 3 + ["c", "d", "e", "lone", "once"]
     assert (2, prose["d"], "d") in got and (None, prose["a"], "lone") in got
+
+
+def test_run_against_brute_force(spark, tmp_path):
+    """The whole run on a small corpus: each stage's verdict by plain counting, token ids by the library."""
+    from tokenizers import Tokenizer
+
+    from alignspark.llm import decontaminate, quality, secrets
+    from alignspark.llm.vocabulary import vocabulary_path
+    from tests.llm.test_corpus import base_measures, brute_components, brute_scores, semi_distance
+
+    rng = random.Random(21)
+    voc = ["the", "and", "river", "stone", "of", "light", "walks", "under", "bridge", "slow", "green", "hill", "was", "small", "boat", "over", "wind", "from", "old", "door"]
+    prose = lambda n: " ".join(rng.choice(voc) for _ in range(n))
+    items = [prose(14) + f" quiz {k}" for k in range(3)]
+    keys = [hashlib.sha1(bytes([k])).hexdigest() for k in range(4)]
+    texts = [prose(rng.randint(40, 90)) for _ in range(30)]
+    texts += [texts[0], texts[1] + " end", texts[2]] + [prose(20) + " " + item + " " + prose(20) for item in items]
+    texts += [f'{prose(25)} token = "{key}" {prose(25)}' for key in keys] + ["too short", None, "a b c d e " * 9, "#$% junk ** " * 30]
+    rows = [*enumerate(texts)]
+    good = {i for i in range(0, 30, 3)}
+    n = lambda t: None if t is None else len(t)
+    spark.createDataFrame([(i, t, "en", "web", n(t)) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(i, 1, 0) for i in good], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    spark.createDataFrame([*enumerate(items)], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+
+    scores = brute_scores(rows, good)
+    left = [(i, t) for i, t in rows if not base_measures(t)[-1] and scores[i] >= quality.THRESHOLD]
+    root = brute_components([t for _, t in left])
+    left = [left[k] for k in range(len(left)) if root[k][1] == k]
+    flat = [decontaminate.squeeze(x) for x in items]
+    left = [(i, t) for i, t in left if all(semi_distance(x, decontaminate.squeeze(t)) > decontaminate.budget(x) for x in flat)]
+    for key in keys:
+        left = [(i, t.replace(key, secrets.MARK)) for i, t in left]
+    library = Tokenizer.from_file(vocabulary_path())
+    want = {i: e.ids for (i, _), e in zip(left, library.encode_batch([t for _, t in left], add_special_tokens=False))}
+    got = {r.doc_id: list(r.ids) for r in corpus_pipeline.run(spark, str(tmp_path)).collect()}
+    assert got == want and len(want) > 20
