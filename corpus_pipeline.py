@@ -42,7 +42,7 @@ def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 
 def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    clean = secrets.redact(_packed(docs), secrets.train(secrets.findings(spark)))
+    clean = secrets.redact(_packed(docs), secrets.fit(docs))
     changed = F.size("_secrets") > 0
     fields = []
     for name in docs.columns:
