@@ -28,6 +28,34 @@ def delta_udaf(idx: pd.Series, val: pd.Series) -> float:
     return float(np.abs(np.diff(v)).mean()) if len(v) > 1 else float("nan")
 
 
+def register_candidates(spark: SparkSession) -> None:
+    """Registers ``align_candidates(TABLE(...) PARTITION BY grp, m, theta, beta)``: one row a candidate tuple."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="grp string, x array<long>, lam int, spread_us long")
+    class Candidates:
+        def __init__(self):
+            self.rows = []
+
+        def eval(self, row, m: int, theta: int, beta: int):
+            self.rows.append((row["grp"], row["sid"], row["idx"], row["ts_us"], row["val"]))
+            self.args = (m, theta, beta)
+
+        def terminate(self):
+            if not self.rows:
+                return
+            from alignspark.operators.candidates import expand_block, matrices
+
+            m, theta, beta = self.args
+            for grp, pdf in pd.DataFrame(self.rows, columns=["grp", "sid", "idx", "ts_us", "val"]).groupby("grp"):
+                times, _, has, first = matrices(pdf, m)
+                x, lam, spread = expand_block(times, has, m, theta, beta, first, first + len(times) - 1, first)
+                for row, count, gap in zip(x.tolist(), lam.tolist(), spread.tolist()):
+                    yield grp, row, count, gap
+
+    spark.udtf.register("align_candidates", Candidates)
+
+
 def register_align_series(spark: SparkSession) -> None:
     """Registers ``align_series(TABLE(...) PARTITION BY grp, m, theta, beta, method)``."""
     from pyspark.sql.functions import udtf

@@ -35,23 +35,37 @@ def align_exact_ts(series: DataFrame, m: int) -> DataFrame:
 def align_asof(series: DataFrame, m: int, theta: int) -> DataFrame:
     """For each cell of series 1 the latest row of every other series at or before it, within theta.
 
-    Clock blocks of width theta keep every window bounded: a match is in the own block or the one before.
+    Both sides stand in one ordered list, and each cell takes the last row seen: no pairs are made. Clock blocks of
+    width theta keep every list bounded: a match is in the own block or the one before.
     """
     timed = series.where("ts_us IS NOT NULL")
-    width = max(theta, 1)
-    home = F.floor(F.col("ts_us") / width)
-    left = timed.where("sid = 1").select("grp", F.col("idx").alias("i1"), F.col("ts_us").alias("t1"), home.alias("blk"))
-    right = timed.where("sid > 1").withColumn("blk", F.explode(F.array(home, home + 1)))
-    near = left.join(right, ["grp", "blk"]).where((F.col("ts_us") <= F.col("t1")) & (F.col("ts_us") >= F.col("t1") - theta))
-    best = near.groupBy("grp", "i1", "sid").agg(F.max_by("idx", F.struct("ts_us", "idx")).alias("idx"))
+    home = F.floor(F.col("ts_us") / max(theta, 1))
+    left = timed.where("sid = 1").select("grp", F.explode(F.sequence(F.lit(2), F.lit(max(m, 2)))).alias("sid"), home.alias("blk"), "ts_us", F.lit(0).alias("side"), "idx")
+    right = timed.where("sid > 1").select("grp", "sid", F.explode(F.array(home, home + 1)).alias("blk"), "ts_us", F.lit(1).alias("side"), "idx")
+    order = Window.partitionBy("grp", "sid", "blk").orderBy("ts_us", F.desc("side"), "idx").rowsBetween(Window.unboundedPreceding, 0)
+    seen = F.last(F.when(F.col("side") == 1, F.struct(F.col("ts_us").alias("t"), F.col("idx").alias("i"))), ignorenulls=True).over(order)
+    best = left.unionByName(right).withColumn("seen", seen).where((F.col("side") == 0) & (F.col("seen.t") >= F.col("ts_us") - theta))
+    best = best.select("grp", F.col("idx").alias("i1"), "sid", F.col("seen.i").alias("idx"))
     met = best.groupBy("grp", "i1").agg(F.array_sort(F.collect_list(F.struct("sid", "idx"))).alias("c"))
     return _rows(met.where(F.size("c") == m - 1).select("grp", F.concat(F.array("i1"), F.transform("c", lambda c: c["idx"])).alias("x")))
 
 
-def align_sequential(series: DataFrame, m: int, p: AlignParams, window: int = 2) -> DataFrame:
-    """Sequential matcher on complete series: time threshold only (row distance is a guard), one ordered scan, of
-    conflicting tuples the one of tightest time spread."""
-    return align(series, m, p.with_(beta=window, k2=0.0), "sequential")
+def reach_of(series: DataFrame, theta: int) -> int:
+    """The largest distance in rows of two cells of different series whose times differ by theta at most.
+
+    First and last row of each series in each clock block of width theta: cells within theta stand in one block or in
+    neighbouring ones, so the answer is never too small.
+    """
+    home = F.floor(F.col("ts_us") / max(theta, 1))
+    ends = series.where("ts_us IS NOT NULL").groupBy("grp", "sid", home.alias("blk")).agg(F.min("idx").alias("lo"), F.max("idx").alias("hi"))
+    near = ends.withColumn("blk", F.explode(F.array("blk", F.col("blk") + 1))).groupBy("grp", "blk").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
+    return int(near.agg(F.max(F.col("hi") - F.col("lo"))).first()[0] or 0)
+
+
+def align_sequential(series: DataFrame, m: int, p: AlignParams) -> DataFrame:
+    """Sequential matcher on complete series: a time threshold and nothing else, one ordered scan, of conflicting
+    tuples the one of tightest time spread. Rows are as far apart as the threshold lets them be."""
+    return align(series, m, p.with_(beta=reach_of(series, p.theta), k2=0.0), "sequential")
 
 
 def warp(series: DataFrame, m: int, method: str = "dtw", band: int | None = 50, iters: int = 3) -> DataFrame:
@@ -77,4 +91,16 @@ def warp(series: DataFrame, m: int, method: str = "dtw", band: int | None = 50,
     return series.select("grp", "sid", "idx", "ts_us", "val").groupBy("grp").applyInPandas(run, ALIGN)
 
 
+def warp_costs(series: DataFrame, m: int, derivative: bool = False) -> DataFrame:
+    """(grp, sid, cost): least warping cost of series 1 and each other series, of the values or of their slopes."""
+
+    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+        _, values, _, _ = matrices(pdf, m)
+        shape = W.slopes if derivative else np.asarray
+        cols = [shape(np.nan_to_num(values[:, j])) for j in range(m)]
+        return pd.DataFrame({"grp": key[0], "sid": range(2, m + 1), "cost": [W.dtw(cols[0], c)[0] for c in cols[1:]]})
+
+    return series.select("grp", "sid", "idx", "ts_us", "val").groupBy("grp").applyInPandas(run, "grp string, sid int, cost double")
+
+
 WARPS = ("dtw", "ddtw", "ctw", "gtw", "ttw")

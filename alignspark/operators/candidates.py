@@ -1,9 +1,11 @@
 """Candidate tuples under the time and position constraints, by seven strategies with one result.
 
 CAND rows: grp, x (row number per series), lam, d, phi, spread_us, w, w_fp. The
-default sends every row to the leads it may follow, so one shuffle by (grp,
-lead) brings together all cells of a candidate; prefixes that break a constraint
-are dropped between the generators and never extended.
+default cuts each series into blocks of leads with a halo of beta rows, so that
+few rows travel and every block makes its candidates in its own task. ``lead``
+stays on the JVM: it sends every row to the leads it may follow, and one shuffle
+by (grp, lead) brings together all cells of a candidate. In all of them prefixes
+that break a constraint are dropped between the series and never extended.
 """
 
 from __future__ import annotations
@@ -72,6 +74,28 @@ def lead(series: DataFrame, m: int, p: AlignParams) -> DataFrame:
     return _expand(_arrays(cells.withColumn("lead", F.explode(leads)), "lead", m), m, p)
 
 
+def prefix_counts(series: DataFrame, m: int, p: AlignParams) -> DataFrame:
+    """(level, made, kept): prefixes of two and more series that the scan makes, and those that break no constraint.
+
+    The difference is what the scan skips, with everything that would have followed.
+    """
+    cells = _cell(series, p)
+    leads = F.when(F.col("sid") == 1, F.array("idx")).otherwise(F.sequence(F.col("idx") - p.beta, F.col("idx") + p.beta))
+    rows = _arrays(cells.withColumn("lead", F.explode(leads)), "lead", m)
+    part = rows.select(*[f"a{j}" for j in range(2, m + 1)], F.explode("a1").alias("c"))
+    part = part.select(*[f"a{j}" for j in range(2, m + 1)], F.col("c.idx").alias("i_lo"), F.col("c.idx").alias("i_hi"), F.col("c.ts_us").alias("lo"), F.col("c.ts_us").alias("hi"))
+    out = None
+    for j in range(2, m + 1):
+        part = part.select("*", F.explode(f"a{j}").alias("c")).select(
+            *[f"a{k}" for k in range(j + 1, m + 1)], F.least("i_lo", "c.idx").alias("i_lo"), F.greatest("i_hi", "c.idx").alias("i_hi"),
+            F.least("lo", "c.ts_us").alias("lo"), F.greatest("hi", "c.ts_us").alias("hi"))
+        holds = (F.col("i_hi") - F.col("i_lo") <= p.beta) & (F.coalesce(F.col("hi") - F.col("lo"), F.lit(0)) <= p.theta)
+        level = part.agg(F.lit(j).alias("level"), F.count("*").alias("made"), F.count_if(holds).alias("kept"))
+        out = level if out is None else out.unionByName(level)
+        part = part.where(holds)
+    return out
+
+
 def anchor(series: DataFrame, m: int, p: AlignParams) -> DataFrame:
     """Rows go to the anchors (smallest row number) they may belong to; a candidate is made at its own anchor only."""
     cells = _cell(series, p)
@@ -247,7 +271,7 @@ def with_blocks(series: DataFrame, size: int, halo_before: int, halo_after: int
 STRATEGIES = {"lead": lead, "anchor": anchor, "join": join, "naive": naive, "odometer": odometer, "block": block}
 
 
-def candidates(series: DataFrame, m: int, p: AlignParams, strategy: str = "lead") -> DataFrame:
+def candidates(series: DataFrame, m: int, p: AlignParams, strategy: str = "block") -> DataFrame:
     """All tuples of one cell per series that satisfy theta and beta."""
     return STRATEGIES[strategy](series, m, p)
 
@@ -264,7 +288,11 @@ def profile(cand: DataFrame) -> DataFrame:
 
 def sql(m: int, p: AlignParams, source: str = "series") -> str:
     """CTE ``cand`` over ``series``, for DuckDB: the band join chain and the constraints as they are defined."""
-    join_ = " ".join(f"JOIN {source} s{j} ON s{j}.grp = s1.grp AND s{j}.sid = {j} AND s{j}.idx BETWEEN s1.idx - {p.beta} AND s1.idx + {p.beta}" for j in range(2, m + 1))
+    def prune(j: int) -> str:
+        """With many series the pairs' constraints go into the joins."""
+        return "" if m <= 4 else "".join(f" AND abs(s{j}.idx - s{k}.idx) <= {p.beta} AND coalesce(abs(s{j}.ts_us - s{k}.ts_us), 0) <= {p.theta}" for k in range(1, j))
+
+    join_ = " ".join(f"JOIN {source} s{j} ON s{j}.grp = s1.grp AND s{j}.sid = {j} AND s{j}.idx BETWEEN s1.idx - {p.beta} AND s1.idx + {p.beta}{prune(j)}" for j in range(2, m + 1))
     i, t, v = ([f"s{j}.{c}" for j in range(1, m + 1)] for c in ("idx", "ts_us", "val"))
     d = " + ".join(f"abs(i{a} - i{b})" for a in range(1, m + 1) for b in range(a + 1, m + 1))
     return f"""raw AS (SELECT s1.grp AS grp, {', '.join(f'{c} AS i{k + 1}' for k, c in enumerate(i))},

@@ -16,8 +16,9 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from alignspark.operators import gate
 from alignspark.operators.candidates import expand_block, matrices, numpy_weights
-from alignspark.operators.fold import fold
+from alignspark.operators.fold import Counters, fold
 from alignspark.params import AlignParams
 
 ALIGN = "grp string, pos long, x array<long>, lam int, w double, w_fp long"
@@ -47,7 +48,7 @@ def solve(x: np.ndarray, w_fp: np.ndarray, p: AlignParams, method: str, spread:
     if method == "packing_init":
         return packing_start(x, w_fp)
     if method == "packing":
-        return max(packing(x, w_fp), key=lambda c: sum(int(w_fp[k]) for k in c), default=[])
+        return next(gate.by_weight(packing(x, w_fp), w_fp))
     if method == "packing_parallel":
         return packing_parallel(x, w_fp)
     if method == "exact":
@@ -67,6 +68,49 @@ def align(series: DataFrame, m: int, p: AlignParams, method: str = "expectation"
     return series.select("grp", "sid", "idx", "ts_us", "val").groupBy("grp").applyInPandas(run, ALIGN)
 
 
+GATED = ALIGN + ", delta double, status string"
+
+
+def align_gated(series: DataFrame, m: int, p: AlignParams, method: str = "packing", model: str = "locf", most: int = 1000) -> DataFrame:
+    """ALIGN rows with delta and status: of a group's alternatives the heaviest whose model error is within ``p.delta``.
+
+    ``packing``: all tie branches of every segment, combined; ``exact``: all conflict-free subsets. Alternatives are
+    tried from the heaviest down, at most ``most`` of them. A group without a result has one row, with null x, that
+    gives its status.
+    """
+    if p.delta is None or method not in ("packing", "exact"):
+        raise ValueError("the gate needs delta and a composer with alternatives")
+
+    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+        times, values, has, first = matrices(pdf, m, p.lam_mode == "cell")
+        x, lam, _ = expand_block(times, has, m, p.theta, p.beta, first, first + len(times) - 1, first, p.cap)
+        _, w, w_fp = numpy_weights(x, lam, p)
+        ranked = gate.by_weight(packing(x, w_fp), w_fp) if method == "packing" else free_subsets(x, w_fp)
+        chosen, delta, status = gate.first_feasible(ranked, lambda k: gate.consistency_of(values, first, x[np.array(k, dtype=np.int64)], model), p.delta, most)
+        out = _result(key[0], x, lam, w, w_fp, chosen)
+        if not len(out):
+            out = pd.DataFrame({"grp": [key[0]], "pos": [None], "x": [None], "lam": [None], "w": [None], "w_fp": [None]})
+        return out.assign(delta=delta, status=status)
+
+    return series.select("grp", "sid", "idx", "ts_us", "val").groupBy("grp").applyInPandas(run, GATED)
+
+
+REPORT = "grp string, candidates long, conflict_tests long, cliques long, largest_clique long, looked_ahead long"
+
+
+def report(series: DataFrame, m: int, p: AlignParams, method: str = "greedy") -> DataFrame:
+    """What the fold of each group did: candidates, conflict tests, cliques, the largest of them, tuples looked ahead at."""
+
+    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+        times, _, has, first = matrices(pdf, m, p.lam_mode == "cell")
+        x, lam, spread = expand_block(times, has, m, p.theta, p.beta, first, first + len(times) - 1, first, p.cap)
+        c = Counters()
+        fold(x, numpy_weights(x, lam, p)[2], p, method, spread, counters=c)
+        return pd.DataFrame([(key[0], c.candidates, c.conflict_tests, c.cliques, c.largest_clique, c.looked_ahead)], columns=[f.split()[0] for f in REPORT.split(", ")])
+
+    return series.select("grp", "sid", "idx", "ts_us", "val").groupBy("grp").applyInPandas(run, REPORT)
+
+
 # --- exact -----------------------------------------------------------------------------------------------------------
 
 
@@ -91,7 +135,7 @@ def subsets(cand: DataFrame, m: int, max_candidates: int = 20) -> DataFrame:
 def compose_exact(cand: DataFrame, m: int, delta_of=None, delta: float | None = None, max_candidates: int = 20) -> DataFrame:
     """The heaviest subset of each group (smallest mask wins ties); with ``delta``, the heaviest that the model accepts.
 
-    ``delta_of`` gives the consistency of (grp, mask, x...) alternatives; it is asked from the top downwards.
+    ``delta_of`` adds the consistency to (grp, mask, w_fp) alternatives (``consistency.subset_deltas``).
     """
     ranked = subsets(cand, m, max_candidates)
     if delta is None:
@@ -100,8 +144,26 @@ def compose_exact(cand: DataFrame, m: int, delta_of=None, delta: float | None =
     return checked.where(F.col("delta") <= delta).groupBy("grp").agg(F.max_by("mask", F.struct(F.col("w_fp"), -F.col("mask"))).alias("mask"), F.max("w_fp").alias("w_fp"))
 
 
+def free_subsets(x: np.ndarray, w: np.ndarray, max_candidates: int = 20) -> list[list[int]]:
+    """All non-empty conflict-free subsets, heaviest first; of equal weights the one of smaller bit mask."""
+    if len(x) > max_candidates:
+        raise ValueError(f"more than {max_candidates} candidates")
+    conf = [sum(1 << int(k) for k in near) for near in conflict_lists(x)]
+    made = [(0, 0, [])]
+    for k in range(len(x)):
+        made += [(total - int(w[k]), mask | 1 << k, [*own, k]) for total, mask, own in made if not mask & conf[k]]
+    return [own for _, _, own in sorted(made[1:], key=lambda s: s[:2])]
+
+
 def conflict_lists(x: np.ndarray) -> list[np.ndarray]:
-    return [np.flatnonzero((x == r).any(axis=1)) for r in x]
+    """The candidates that share a cell with each candidate, itself included, by an index of cells."""
+    near: list[list[np.ndarray]] = [[] for _ in range(len(x))]
+    for j in range(x.shape[1]):
+        order = np.argsort(x[:, j], kind="stable")
+        for held in np.split(order, np.flatnonzero(np.diff(x[order, j])) + 1):
+            for k in held.tolist():
+                near[k].append(held)
+    return [np.unique(np.concatenate(parts)) for parts in near]
 
 
 def segments_of(x: np.ndarray) -> list[tuple[int, int]]:
@@ -119,7 +181,7 @@ def exact_bnb(x: np.ndarray, w: np.ndarray, limit: int = 2_000_000) -> list[int]
     for lo, hi in segments_of(x):
         part, weight = x[lo:hi], w[lo:hi].astype(np.int64)
         order = np.argsort(-weight, kind="stable")
-        conf = [set(np.flatnonzero((part == part[k]).any(axis=1)).tolist()) for k in range(hi - lo)]
+        conf = [set(near.tolist()) for near in conflict_lists(part)]
         suffix = np.r_[np.cumsum(weight[order][::-1])[::-1], 0].tolist()
         best, best_set, steps = -1, [], 0
         stack = [(0, 0, frozenset(), ())]
@@ -166,77 +228,67 @@ def _swaps(x: np.ndarray, w: np.ndarray, conf: list[np.ndarray], now: set[int],
                 yield q, out
 
 
-def packing(x: np.ndarray, w: np.ndarray, max_branches: int = 8, swap_size: int | None = None) -> list[list[int]]:
-    """Local search from the heaviest-first start, segment by segment; results of equal best ratio are all followed.
+def packing(x: np.ndarray, w: np.ndarray, max_branches: int = 4096, swap_size: int | None = None) -> list[list[list[int]]]:
+    """Local search from the heaviest-first start: for each independent segment all branches' results, heaviest first.
 
     A swap replaces the members it hits when its weight is larger; the best ratio is taken (compared exactly, as
-    integers). At most ``max_branches`` branches are kept per segment; the segments' first branches make one result,
-    and alternatives of single segments give the others.
+    integers), and swaps of equal best ratio are all followed. A segment with more than ``max_branches`` branches is an
+    error. ``gate.by_weight`` combines the segments' results.
     """
-    if not len(x):
-        return [[]]
     per_segment: list[list[list[int]]] = []
     for lo, hi in segments_of(x):
         part, weight = x[lo:hi], [int(v) for v in w[lo:hi]]
         conf = conflict_lists(part)
-        most = swap_size or part.shape[1]
         start = frozenset(packing_start(part, w[lo:hi]))
         live, done, seen = [start], [], {start}
         while live:
             now = live.pop()
-            best, moves = (1, 1), []
-            for centre in sorted(now):
-                for q, out in _swaps(part, w, conf, set(now), centre, most):
-                    a, b = sum(weight[k] for k in q), sum(weight[k] for k in out)
-                    if a <= b:
-                        continue
-                    left, right = a * best[1], best[0] * b
-                    if left > right:
-                        best, moves = (a, b), [(q, out)]
-                    elif left == right and moves:
-                        moves.append((q, out))
+            moves = best_swaps(part, weight, conf, set(now), sorted(now), swap_size or part.shape[1])
             if not moves:
                 done.append(now)
-                continue
             for q, out in moves:
                 nxt = frozenset((now - out) | set(q))
-                if nxt not in seen and len(live) + len(done) < max_branches:
+                if nxt not in seen:
+                    if len(seen) == max_branches:
+                        raise RuntimeError(f"more than {max_branches} branches of equal ratio in one segment: raise max_branches")
                     seen.add(nxt)
                     live.append(nxt)
-            if not live and not done:
-                done.append(frozenset((now - moves[0][1]) | set(moves[0][0])))
         done.sort(key=lambda c: (-sum(weight[k] for k in c), sorted(c)))
         per_segment.append([sorted(lo + k for k in c) for c in done])
-    first = [k for seg in per_segment for k in seg[0]]
-    results = [sorted(first)]
-    for s, seg in enumerate(per_segment):
-        for other in seg[1:]:
-            if len(results) < max_branches:
-                results.append(sorted([k for t, own in enumerate(per_segment) for k in (other if t == s else own[0])]))
-    return results
+    return per_segment
+
+
+def best_swaps(x: np.ndarray, weight: list[int], conf: list[np.ndarray], now: set[int], centres: list[int], most: int) -> list[tuple[tuple[int, ...], set[int]]]:
+    """All swaps around some members that have the best ratio above 1."""
+    best, moves = (1, 1), []
+    for centre in centres:
+        for q, out in _swaps(x, weight, conf, now, centre, most):
+            a, b = sum(weight[k] for k in q), sum(weight[k] for k in out)
+            if a > b:
+                left, right = a * best[1], best[0] * b
+                if left > right:
+                    best, moves = (a, b), [(q, out)]
+                elif left == right:
+                    moves.append((q, out))
+    return moves
 
 
-def packing_parallel(x: np.ndarray, w: np.ndarray, swap_size: int = 2, max_rounds: int = 200) -> list[int]:
+def packing_parallel(x: np.ndarray, w: np.ndarray, swap_size: int | None = None) -> list[int]:
     """Local search in rounds: of each member's best improving swap all that don't touch one another are applied at once.
 
     Swaps are taken by ratio (compared exactly); one is held back when it shares a candidate, or a conflict, with one
-    already taken in the round. Weight rises every round; it ends where the serial search would: no swap improves.
+    already taken in the round. Swaps have up to m candidates, as in the serial search. The weight rises every round,
+    so it ends, and then no swap improves; which of several such ends is reached may differ from the serial search.
     """
     out: list[int] = []
     for lo, hi in segments_of(x):
         part, weight = x[lo:hi], [int(v) for v in w[lo:hi]]
         conf = conflict_lists(part)
         now = set(packing_start(part, w[lo:hi]))
-        for _ in range(max_rounds):
+        while True:
             moves = []
             for centre in sorted(now):
-                best = None
-                for q, gone in _swaps(part, w, conf, now, centre, swap_size):
-                    a, b = sum(weight[k] for k in q), sum(weight[k] for k in gone)
-                    if a > b and (best is None or a * best[1] > best[0] * b):
-                        best = (a, b, q, gone)
-                if best:
-                    moves.append(best)
+                moves += [(sum(weight[k] for k in q), sum(weight[k] for k in gone), q, gone) for q, gone in best_swaps(part, weight, conf, now, [centre], swap_size or part.shape[1])[:1]]
             if not moves:
                 break
             touched: set[int] = set()

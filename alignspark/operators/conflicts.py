@@ -10,9 +10,14 @@ from pyspark.sql import functions as F
 
 
 def shared_path(spark: SparkSession, label: str) -> str:
-    """A path in the folder that driver and executors share; a folder of our own only where none is set."""
+    """A path in the folder that driver and executors share (spark.checkpoint.dir).
+
+    A folder of our own is made only where driver and executors are one process; on a cluster that is an error.
+    """
     top = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not top:
+        if spark.sparkContext.master.split("[")[0] != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         top = tempfile.mkdtemp(prefix="alignspark-")
         spark.sparkContext.setCheckpointDir(top)
     return f"{top.rstrip('/')}/{label}-{uuid.uuid4().hex}"

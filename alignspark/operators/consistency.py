@@ -1,7 +1,8 @@
 """Model consistency: predictions of the composed series, normalised error, the gate.
 
 Models: last value (``locf``) and AR(1) as windows and aggregates; VAR(1) from
-cross moments; the state-space model with gaps (``marss``) in numpy per group.
+cross moments; the state-space model with gaps (``marss``) in numpy per group, or
+over blocks of a long series (``marss_scan``).
 """
 
 from __future__ import annotations
@@ -13,6 +14,7 @@ from pyspark.sql import functions as F
 
 from alignspark.operators.compose import materialise
 from alignspark.operators.marss import Marss
+from alignspark.operators.marss_scan import predict_scan
 
 PRED = "grp string, pos long, sid int, pred double"
 
@@ -72,6 +74,8 @@ def predicted(aligned: DataFrame, series: DataFrame, m: int, model: str = "locf"
         return predict_var1(cells, m)
     if model in ("marss", "marss_smoothed"):
         return predict_marss(cells, m, smoothed=model.endswith("smoothed"))
+    if model == "marss_scan":
+        return predict_scan(cells)
     raise ValueError(f"unknown model {model!r}")
 
 
@@ -97,6 +101,18 @@ def delta(aligned: DataFrame, series: DataFrame, m: int, model: str = "locf", no
     return series_nmae(pred, mu).groupBy("grp").agg(F.avg("nmae").alias("delta"))
 
 
+def subset_deltas(ranked: DataFrame, cand: DataFrame, series: DataFrame, m: int, model: str = "locf") -> DataFrame:
+    """Adds ``delta`` to (grp, mask, w_fp) alternatives: every subset is composed and predicted as a group of its own."""
+    numbered = cand.select("grp", "x", "lam", "w", F.col("w_fp").alias("own")).withColumn("k", F.row_number().over(Window.partitionBy("grp").orderBy("x")) - 1)
+    named = ranked.withColumn("alt", F.concat_ws("@", "mask", "grp"))
+    member = named.join(numbered, "grp").where("shiftright(mask, k) & 1 = 1")
+    place = F.row_number().over(Window.partitionBy("alt").orderBy("k"))
+    alternatives = member.select(F.col("alt").alias("grp"), place.cast("long").alias("pos"), "x", "lam", "w", F.col("own").alias("w_fp"))
+    sources = named.select("grp", "alt").join(series.select("grp", "sid", "idx", "ts_us", "val"), "grp").drop("grp").withColumnRenamed("alt", "grp")
+    errors = delta(alternatives, sources, m, model).withColumnRenamed("grp", "alt")
+    return named.join(errors, "alt").select("grp", "mask", "w_fp", "delta")
+
+
 def satisfies_model(delta_df: DataFrame, limit: float) -> DataFrame:
     return delta_df.where(F.col("delta") <= limit)
 

@@ -36,7 +36,10 @@ def impute_simple(series: DataFrame, how: str = "mean") -> DataFrame:
         ahead = Window.partitionBy("grp", "sid").orderBy("idx").rowsBetween(0, Window.unboundedFollowing)
         return series.withColumn("val", F.coalesce(F.last("val", ignorenulls=True).over(back), F.first("val", ignorenulls=True).over(ahead)))
     if how in ("mean", "median"):
-        fill = series.groupBy("grp", "sid").agg((F.avg("val") if how == "mean" else F.percentile("val", F.lit(0.5))).alias("_f"))
+        # the mean in whole millionths: a sum of integers does not depend on the order of the rows
+        micro, n = F.sum(F.round(F.col("val") * 1_000_000).cast("long")), F.count("val")
+        mean = F.when(n > 0, F.call_function("div", 2 * micro + n, 2 * F.greatest(n, F.lit(1)))) / F.lit(1_000_000.0)
+        fill = series.groupBy("grp", "sid").agg((mean if how == "mean" else F.percentile("val", F.lit(0.5))).alias("_f"))
         return series.join(fill, ["grp", "sid"]).withColumn("val", F.coalesce("val", "_f")).drop("_f")
     if how == "seasonal":
         hour = F.floor(F.col("ts_us") / F.lit(3_600_000_000)) % 24

@@ -9,6 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from alignspark.operators.conflicts import settled
 from alignspark.params import SECOND
 
 OPS: dict[str, tuple] = {}
@@ -288,15 +289,26 @@ def win_fill(t):
 # --- order, limits, rows, sets ---------------------------------------------------------------------------------------------
 
 
-@op("sort_multi", "SELECT row_number() OVER (ORDER BY o_orderpriority DESC, o_totalprice, o_orderkey)::BIGINT AS pos, o_orderkey FROM orders ORDER BY 1 LIMIT 200")
+def positions(df, *order):
+    """Rows of a total order with their position: ranges are sorted apart, and sums of their sizes number them on."""
+    local = settled(df.orderBy(*order).withColumns({"_part": F.spark_partition_id(), "_at": F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1))}), "sorted")
+    sizes = sorted((r[0], r[1]) for r in local.groupBy("_part").count().collect())
+    starts, total = {}, 0
+    for part, n in sizes:
+        starts[part], total = total, total + n
+    base = F.create_map(*[F.lit(v) for pair in starts.items() for v in pair]) if starts else F.create_map(F.lit(0), F.lit(0))
+    return local.withColumn("pos", (base[F.col("_part")] + F.col("_at") + 1).cast("long")).drop("_part", "_at")
+
+
+@op("sort_multi", "SELECT row_number() OVER (ORDER BY o_orderpriority DESC, o_totalprice, o_orderkey)::BIGINT AS pos, o_orderkey FROM orders")
 def sort_multi(t):
-    top = t("orders").orderBy(F.desc("o_orderpriority"), "o_totalprice", "o_orderkey").limit(200)
-    return top.select(F.row_number().over(Window.orderBy(F.desc("o_orderpriority"), "o_totalprice", "o_orderkey")).cast("long").alias("pos"), "o_orderkey")
+    return positions(t("orders").select("o_orderkey", "o_orderpriority", "o_totalprice"), F.desc("o_orderpriority"), "o_totalprice", "o_orderkey").select("pos", "o_orderkey")
 
 
-@op("sort_nulls", "SELECT event_id, v FROM (SELECT event_id, nullif(user_id % 5, 0) AS v FROM events) ORDER BY v NULLS LAST, event_id LIMIT 100")
+@op("sort_nulls", "SELECT row_number() OVER (ORDER BY v NULLS LAST, event_id)::BIGINT AS pos, event_id, v FROM (SELECT event_id, nullif(user_id % 5, 0) AS v FROM events)")
 def sort_nulls(t):
-    return t("events").select("event_id", F.nullif(F.col("user_id") % 5, F.lit(0)).alias("v")).orderBy(F.asc_nulls_last("v"), "event_id").limit(100)
+    e = t("events").select("event_id", F.nullif(F.col("user_id") % 5, F.lit(0)).alias("v"))
+    return positions(e, F.asc_nulls_last("v"), "event_id").select("pos", "event_id", "v")
 
 
 @op("limit_offset", "SELECT o_orderkey FROM orders ORDER BY o_orderkey LIMIT 50 OFFSET 25")

@@ -5,7 +5,6 @@ from __future__ import annotations
 import itertools
 import math
 
-import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -25,7 +24,7 @@ def gaps(series: DataFrame) -> DataFrame:
 
 
 def fit_theta(series: DataFrame, q: float = 0.95, exact: bool = True) -> DataFrame:
-    """One row (theta): a high percentile of same-row differences; approximate where the data are large."""
+    """One row (theta): a high percentile of same-row differences. ``exact`` holds all different ones in one task; else a sketch of bounded size."""
     value = F.percentile("gap", F.lit(q)) if exact else F.percentile_approx("gap", F.lit(q), F.lit(10_000)).cast("double")
     return gaps(series).agg(value.alias("theta"))
 
@@ -42,25 +41,32 @@ def fit_beta(series: DataFrame, m: int, p: AlignParams, beta_lo: int = 0, beta_c
     return max(beta_lo + 1, math.ceil(got or 0))
 
 
-def compose_grid(series: DataFrame, m: int, grid: list[AlignParams], method: str = "greedy") -> DataFrame:
-    """ALIGN rows with ``point``, the number of a grid point: candidates are made once per group for the loosest
-    theta and beta of the grid, and every point filters and weighs them in the same task."""
-    theta, beta = max(g.theta for g in grid), max(g.beta for g in grid)
+def compose_grid(series: DataFrame, m: int, grid: list[AlignParams], method: str = "greedy", share: int = 6) -> DataFrame:
+    """ALIGN rows with ``point``, the number of a grid point, from one job.
+
+    Points of one theta and beta share a candidate set, ``share`` of them in a task: a grid over one long series runs
+    in many tasks, and a grid of weights makes few candidate sets.
+    """
+    alike: dict[tuple, list[int]] = {}
+    for number, g in enumerate(grid):
+        alike.setdefault((g.theta, g.beta), []).append(number)
+    tasks = [numbers[k : k + share] for numbers in alike.values() for k in range(0, len(numbers), share)]
 
     def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
-        times, _, has, first = C.matrices(pdf, m, grid[0].lam_mode == "cell")
-        x, lam, spread = C.expand_block(times, has, m, theta, beta, first, first + len(times) - 1, first, grid[0].cap)
-        phi = x.max(axis=1) - x.min(axis=1) if len(x) else np.zeros(0, np.int64)
+        numbers = tasks[int(key[1])]
+        loosest = grid[numbers[0]]
+        times, _, has, first = C.matrices(pdf, m, loosest.lam_mode == "cell")
+        x, lam, spread = C.expand_block(times, has, m, loosest.theta, loosest.beta, first, first + len(times) - 1, first, loosest.cap)
         parts = []
-        for number, g in enumerate(grid):
-            keep = (spread <= g.theta) & (phi <= g.beta)
-            _, w, w_fp = C.numpy_weights(x[keep], lam[keep], g)
-            part = _result(key[0], x[keep], lam[keep], w, w_fp, solve(x[keep], w_fp, g, method, spread[keep]))
+        for number in numbers:
+            _, w, w_fp = C.numpy_weights(x, lam, grid[number])
+            part = _result(key[0], x, lam, w, w_fp, solve(x, w_fp, grid[number], method, spread))
             part.insert(0, "point", number)
             parts.append(part)
         return pd.concat(parts, ignore_index=True)
 
-    return series.groupBy("grp").applyInPandas(run, "point int, " + ALIGN)
+    sent = series.select("grp", "sid", "idx", "ts_us", "val", F.explode(F.sequence(F.lit(0), F.lit(len(tasks) - 1))).alias("task"))
+    return sent.groupBy("grp", "task").applyInPandas(run, "point int, " + ALIGN)
 
 
 def fit_weights(series: DataFrame, m: int, p: AlignParams, k1=range(1, 7), k2=range(1, 7), n_seeds: int = 1, method: str = "greedy", model: str = "locf") -> DataFrame:
@@ -81,11 +87,10 @@ def best_weights(table: DataFrame) -> DataFrame:
     return table.orderBy("delta", "k1", "k2").limit(1)
 
 
-def auto_params(series: DataFrame, m: int, p: AlignParams = AlignParams(), method: str = "greedy", model: str = "locf", k1=range(1, 7), k2=range(1, 7)) -> AlignParams:
-    """theta, beta, then (k1, k2) and delta, each from the data."""
-    theta = int(fit_theta(series).first()[0] or 0)
-    p = p.with_(theta=theta)
-    p = p.with_(beta=fit_beta(series, m, p))
+def auto_params(series: DataFrame, m: int, p: AlignParams = AlignParams(), method: str = "greedy", model: str = "locf", k1=range(1, 7), k2=range(1, 7), beta_cap: int = 4) -> AlignParams:
+    """theta, beta (from candidates under ``beta_cap``), then (k1, k2) and delta, each from the data."""
+    p = p.with_(theta=int(fit_theta(series, exact=False).first()[0] or 0))
+    p = p.with_(beta=fit_beta(series, m, p, beta_cap=beta_cap))
     best = best_weights(fit_weights(series, m, p, k1, k2, method=method, model=model)).first()
     return p.with_(k1=best.k1, k2=best.k2, b=1.0, c=1.0, delta=best.delta)
 

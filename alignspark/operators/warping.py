@@ -15,37 +15,43 @@ def slopes(v: np.ndarray) -> np.ndarray:
 
 
 def dtw(a: np.ndarray, b: np.ndarray, band: int | None = None) -> tuple[float, np.ndarray]:
-    """Least summed distance and the warping path (pairs of positions) of two sequences (n x d), by anti-diagonals."""
+    """Least summed distance and the warping path (pairs of positions) of two sequences (n x d), by anti-diagonals.
+
+    Only the band is stored: n rows of its width.
+    """
     a, b = (np.asarray(s, dtype=float).reshape(len(s), -1) for s in (a, b))
     n, k = len(a), len(b)
     if not n or not k:
         return 0.0, np.zeros((0, 2), dtype=np.int64)
     width = max(n, k) if band is None else max(band, abs(n - k) + 1)
-    cost = np.full((n, k), np.inf)
+    reach, steps = width * max(n - 1, k - 1, 1), max(n - 1, 1)
+    low = np.clip(-((reach - np.arange(n) * (k - 1)) // steps), 0, k - 1) if n > 1 else np.zeros(1, dtype=np.int64)
+    cost = np.full((n, min(k, 2 * reach // steps + 2)), np.inf)
+
+    def at(i: np.ndarray, j: np.ndarray) -> np.ndarray:
+        """Costs of some cells, infinite outside the band."""
+        inside = (i >= 0) & (j >= 0)
+        place = j - low[np.maximum(i, 0)]
+        inside &= (place >= 0) & (place < cost.shape[1])
+        return np.where(inside, cost[np.maximum(i, 0), np.clip(place, 0, cost.shape[1] - 1)], np.inf)
+
     for step in range(n + k - 1):
         i = np.arange(max(0, step - k + 1), min(n, step + 1))
-        j = step - i
-        near = np.abs(i * (k - 1) - j * (n - 1)) <= width * max(n - 1, k - 1, 1) if band is not None else np.ones(len(i), bool)
-        i, j = i[near], j[near]
+        if band is not None:  # the rows whose cell on this diagonal lies in the band
+            i = i[np.searchsorted(i * (k - 1) - (step - i) * (n - 1), -reach) : np.searchsorted(i * (k - 1) - (step - i) * (n - 1), reach, side="right")]
         if not len(i):
             continue
+        j = step - i
         d = np.abs(a[i] - b[j]).sum(axis=1)
-        best = np.full(len(i), np.inf)
-        up, left = i > 0, j > 0
-        best[up] = cost[i[up] - 1, j[up]]
-        best[left] = np.minimum(best[left], cost[i[left], j[left] - 1])
-        both = up & left
-        best[both] = np.minimum(best[both], cost[i[both] - 1, j[both] - 1])
+        best = np.minimum(np.minimum(at(i - 1, j), at(i, j - 1)), at(i - 1, j - 1))
         best[(i == 0) & (j == 0)] = 0.0
-        cost[i, j] = d + best
+        cost[i, j - low[i]] = d + best
     path, i, j = [(n - 1, k - 1)], n - 1, k - 1
+    one = lambda i, j: float(cost[i, j - low[i]]) if i >= 0 and 0 <= j - low[i] < cost.shape[1] and j >= 0 else np.inf
     while i or j:
-        options = [(cost[i - 1, j - 1], i - 1, j - 1)] if i and j else []
-        options += [(cost[i - 1, j], i - 1, j)] if i else []
-        options += [(cost[i, j - 1], i, j - 1)] if j else []
-        _, i, j = min(options, key=lambda o: o[0])
+        _, i, j = min(((one(i - 1, j - 1), i - 1, j - 1), (one(i - 1, j), i - 1, j), (one(i, j - 1), i, j - 1)), key=lambda o: o[0])
         path.append((i, j))
-    return float(cost[-1, -1]), np.array(path[::-1], dtype=np.int64)
+    return one(n - 1, k - 1), np.array(path[::-1], dtype=np.int64)
 
 
 def scaled(v: np.ndarray) -> np.ndarray:

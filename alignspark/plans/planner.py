@@ -49,17 +49,20 @@ def align_planned(series: DataFrame, m: int, p: AlignParams, method: str = "expe
 def align_until_feasible(series: DataFrame, m: int, p: AlignParams, method: str = "greedy", model: str = "locf") -> DataFrame:
     """ALIGN with ``status``: rounds with new tie seeds for the groups whose model error is still above delta.
 
-    A group that no round satisfies keeps its best round and is marked infeasible. Only the list of groups' errors
-    moves between rounds, as a table.
+    Every round runs as the planner says, so long series go in blocks. A group that no round satisfies keeps its best
+    round and is marked infeasible. Only the list of groups' errors moves between rounds, as a table. Composers with
+    alternatives of their own (packing, exact) choose among them in one round instead.
     """
     from alignspark.operators.conflicts import settled
     from alignspark.operators.consistency import delta
 
     if p.delta is None:
         return align_planned(series, m, p, method).withColumn("status", F.lit("feasible"))
+    if method in ("packing", "exact"):
+        return K.align_gated(series, m, p, method, model)
     todo, best = series, None
     for turn in range(p.max_rounds):
-        made = settled(K.align(todo, m, p if turn == 0 else p.with_(tie="random", seed=turn), method), "round")
+        made = settled(align_planned(todo, m, p if turn == 0 else p.with_(tie="random", seed=turn), method), "round")
         errors = settled(delta(made, todo, m, model), "errors")
         scored = made.join(errors, "grp", "left").withColumn("turn", F.lit(turn))
         best = scored if best is None else best.unionByName(scored)

@@ -23,7 +23,8 @@ from alignspark.operators import metrics as Q
 from alignspark.operators import tuning as T
 from alignspark.params import SECOND, AlignParams
 from alignspark.plans import blocks
-from alignspark.plans.planner import align_planned
+from alignspark import experiments as E
+from alignspark.plans.planner import align_planned, align_until_feasible
 from alignspark.sources import workloads as W
 
 QUERIES: dict[str, tuple] = {}
@@ -52,12 +53,10 @@ def series(spark: SparkSession, sf_dir: str, name: str = "ev4", rate: float = RA
     return W.build(spark, sf_dir, name, rate)
 
 
-def candidates(spark: SparkSession, sf_dir: str, name: str = "ev4", p: AlignParams = P, strategy: str = "lead") -> DataFrame:
+def candidates(spark: SparkSession, sf_dir: str, name: str = "ev4", p: AlignParams = P, strategy: str = "block") -> DataFrame:
     return C.candidates(series(spark, sf_dir, name), W.arity(name), p, strategy)
 
 
-
-
 def xs(m: int = 4):
     return [F.col("x")[j].alias(f"i{j + 1}") for j in range(m)]
 
@@ -66,9 +65,8 @@ CAND_COLUMNS = "grp, i1, i2, i3, i4, lam, d, phi, spread_us, round(w, 6) AS w, w
 
 # --- degradation and series ---------------------------------------------------------------------------------------------
 
-for _name in ("ev4", "evu", "li4", "or4"):
+for _name in ("ev4", "evu", "li4", "or4", "ev11"):
     QUERIES[f"series_{_name}"] = (partial(lambda s, d, n: series(s, d, n), n=_name), f"{cells(_name)} SELECT grp, sid, idx, ts_us, val FROM series")
-QUERIES["series_ev11"] = (partial(lambda s, d, n: series(s, d, n), n="ev11"), None)
 
 
 @query("deg_jitter", f"{cells()} SELECT sid, count(*)::BIGINT AS n, sum(tf - t)::BIGINT AS delay_us, max(tf - t)::BIGINT AS top_us FROM fifo GROUP BY 1")
@@ -89,7 +87,8 @@ for _rate in (0.1, 0.2, 0.3, 0.4):
         partial(lambda s, d, r: series(s, d, "ev4", r).groupBy("sid").agg(F.count("ts_us").alias("n_t"), F.count("val").alias("n_v")), r=_rate),
         f"{cells('ev4', _rate)} SELECT sid, count(ts_us)::BIGINT AS n_t, count(val)::BIGINT AS n_v FROM series GROUP BY 1")
 for _pattern in ("block", "mar", "mnar"):
-    QUERIES[f"deg_{_pattern}"] = (partial(lambda s, d, p: W.build(s, d, "ev4", RATE, p).groupBy("sid").agg(F.count("ts_us").alias("n_t"), F.count("val").alias("n_v")), p=_pattern), None)
+    QUERIES[f"deg_{_pattern}"] = (partial(lambda s, d, p: W.build(s, d, "ev4", RATE, p).groupBy("sid").agg(F.count("ts_us").alias("n_t"), F.count("val").alias("n_v")), p=_pattern),
+        f"WITH {W.sql('ev4', RATE, pattern=_pattern)} SELECT sid, count(ts_us)::BIGINT AS n_t, count(val)::BIGINT AS n_v FROM series GROUP BY 1")
 
 # --- constraints and weight: on the diagonal tuples of the whole series ----------------------------------------------------
 
@@ -145,10 +144,19 @@ def pair_conflict(spark, sf_dir):
 
 for _s in ("lead", "anchor", "join", "odometer", "block"):
     QUERIES[f"cand_{_s}"] = (partial(lambda s, d, k: C.flat(candidates(s, d, strategy=k), 4), k=_s), f"{cands()} SELECT {CAND_COLUMNS} FROM cand")
-QUERIES["cand_prefix_pruned"] = (lambda s, d: C.flat(candidates(s, d, "evu"), 4), f"{cands('evu')} SELECT {CAND_COLUMNS} FROM cand")
+QUERIES["cand_prefix_pruned"] = (lambda s, d: C.flat(candidates(s, d, "evu", strategy="lead"), 4), f"{cands('evu')} SELECT {CAND_COLUMNS} FROM cand")
 QUERIES["cand_li4"] = (lambda s, d: C.flat(candidates(s, d, "li4", P.with_(theta=W.theta_of("li4"))), 4), f"{cands('li4', p=P.with_(theta=W.theta_of('li4')))} SELECT {CAND_COLUMNS} FROM cand")
 QUERIES["cand_or4"] = (lambda s, d: C.flat(candidates(s, d, "or4", P.with_(theta=W.theta_of("or4"))), 4), f"{cands('or4', p=P.with_(theta=W.theta_of('or4')))} SELECT {CAND_COLUMNS} FROM cand")
-QUERIES["cand_ev11"] = (lambda s, d: C.candidates(series(s, d, "ev11"), 11, P.with_(theta=W.theta_of("ev11")), "block"), None)
+P11 = P.with_(theta=W.theta_of("ev11"))
+QUERIES["cand_ev11"] = (lambda s, d: C.flat(C.candidates(series(s, d, "ev11"), 11, P11), 11), f"{cands('ev11', p=P11, m=11)} SELECT grp, {', '.join(f'i{j}' for j in range(1, 12))}, lam, d, phi, spread_us, round(w, 6) AS w, w_fp FROM cand")
+
+
+@query("cand_prefix_counts", f"""{cells('evu')}, one AS (SELECT grp, idx AS i1, idx AS lo, idx AS hi, ts_us AS a, ts_us AS b FROM series WHERE sid = 1), """ + ", ".join(
+    f"""m{j} AS (SELECT p.grp, p.i1, least(lo, s.idx) AS lo, greatest(hi, s.idx) AS hi, least(a, s.ts_us) AS a, greatest(b, s.ts_us) AS b FROM {'one' if j == 2 else f'k{j - 1}'} p JOIN series s ON s.grp = p.grp AND s.sid = {j} AND s.idx BETWEEN p.i1 - {P.beta} AND p.i1 + {P.beta}),
+k{j} AS (SELECT * FROM m{j} WHERE hi - lo <= {P.beta} AND coalesce(b - a, 0) <= {P.theta})""" for j in (2, 3, 4)) + " " + " UNION ALL ".join(f"SELECT {j}::INT AS level, (SELECT count(*) FROM m{j})::BIGINT AS made, (SELECT count(*) FROM k{j})::BIGINT AS kept" for j in (2, 3, 4)))
+def cand_prefix_counts(spark, sf_dir):
+    return C.prefix_counts(series(spark, sf_dir, "evu"), 4, P)
+
 
 TINY_SQL = "WITH RECURSIVE series(grp, sid, idx, ts_us, val) AS (VALUES " + ", ".join(
     f"('', {s}, {i}, {'NULL::BIGINT' if t is None else int(t * SECOND)}, {'NULL::DOUBLE' if v is None else float(v)})" for s, i, t, v in W.TINY["t2"]) + f"),\n{C.sql(3, TINY)}"
@@ -204,16 +212,19 @@ def conflict_segments(spark, sf_dir):
     return X.segments(candidates(spark, sf_dir, "evu")).groupBy("grp", "seg").agg(F.count("*").alias("n"))
 
 
-@query("conflict_components")
+@query("conflict_components", f"""{EDGES}, nk AS (SELECT grp, x, row_number() OVER (PARTITION BY grp ORDER BY i1, i2, i3, i4) AS k FROM num), ek AS (SELECT e.grp, a.k AS a, b.k AS b FROM edge e JOIN nk a ON a.grp = e.grp AND a.x = e.a JOIN nk b ON b.grp = e.grp AND b.x = e.b),
+und AS MATERIALIZED (SELECT grp, a, b FROM ek UNION ALL SELECT grp, b, a FROM ek), r(grp, x, y) AS (SELECT DISTINCT grp, a, a FROM und UNION SELECT r.grp, r.x, und.b FROM r JOIN und ON und.grp = r.grp AND und.a = r.y),
+low AS (SELECT grp, x, min(y) AS root FROM r GROUP BY 1, 2) SELECT low.grp, nk.x AS root, count(*)::BIGINT AS n FROM low JOIN nk ON nk.grp = low.grp AND nk.k = low.root GROUP BY 1, 2""")
 def conflict_components(spark, sf_dir):
-    return X.components(X.conflict_edges(candidates(spark, sf_dir, "evu"))).groupBy("grp", "root").agg(F.count("*").alias("n"))
+    return X.components(X.conflict_edges(candidates(spark, sf_dir, "evu"))).groupBy("grp", "root").agg(F.count("*").alias("n")).select("grp", named("root").alias("root"), "n")
 
 
 # --- composers ---------------------------------------------------------------------------------------------------------------
 
 
-def fold_sql(method: str, p: AlignParams = P, name: str = "evu", rate: float = RATE, literal: bool = False) -> str:
-    """The ordered fold as a recursive query that advances one candidate of every group a step."""
+def fold_sql(method: str, p: AlignParams = P, name: str = "evu", rate: float = RATE, literal: bool = False, head: str | None = None, m: int = 4) -> str:
+    """The ordered fold as a recursive query that advances one candidate of every group a step; ``head``: CTEs up to ``cand``."""
+    order = ", ".join(f"i{j}" for j in range(1, m + 1))
     if method == "greedy":
         winner = "list_filter(g, lambda e: e.w = list_max(list_transform(g, lambda z: z.w)))[1].k"
     elif method == "sequential":
@@ -224,8 +235,14 @@ def fold_sql(method: str, p: AlignParams = P, name: str = "evu", rate: float = R
         scored = f"list_transform(g, lambda e: {{k: e.k, v: {score}}})"
         winner = f"list_filter({scored}, lambda e: e.v = list_max(list_transform({scored}, lambda z: z.v)))[1].k"
     after = "[]" if literal else "CASE WHEN list_contains(me.c, best) THEN [] ELSE [me] END"
-    return f"""{cands(name, rate, p)}, num AS (SELECT *, row_number() OVER (PARTITION BY grp ORDER BY i1, i2, i3, i4) AS k FROM cand),
-cell AS (SELECT grp, k, 1 AS s, i1 AS i FROM num UNION ALL SELECT grp, k, 2, i2 FROM num UNION ALL SELECT grp, k, 3, i3 FROM num UNION ALL SELECT grp, k, 4, i4 FROM num),
+    xs_ = order.replace(" ", "")
+    # runs of leads that no candidate straddles fold by themselves: they are groups of their own, which makes the recursion short
+    whole = "split AS (SELECT *, grp AS whole FROM cand)" if literal else f"""span AS (SELECT grp, i1 AS lead, max(greatest({xs_})) AS top, min(least({xs_})) AS low FROM cand GROUP BY 1, 2),
+cutting AS (SELECT *, CASE WHEN max(top) OVER (PARTITION BY grp ORDER BY lead ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) >= min(low) OVER (PARTITION BY grp ORDER BY lead ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) THEN 0 ELSE 1 END AS new FROM span),
+numbered AS (SELECT grp, lead, sum(new) OVER (PARTITION BY grp ORDER BY lead) AS seg FROM cutting),
+split AS (SELECT cand.* EXCLUDE (grp), cand.grp AS whole, cand.grp || '#' || seg AS grp FROM cand JOIN numbered ON numbered.grp = cand.grp AND numbered.lead = cand.i1)"""
+    return f"""{head or cands(name, rate, p, m)}, {whole}, num AS MATERIALIZED (SELECT *, row_number() OVER (PARTITION BY grp ORDER BY {order}) AS k FROM split),
+cell AS ({' UNION ALL '.join(f'SELECT grp, k, {j} AS s, i{j} AS i FROM num' for j in range(1, m + 1))}),
 edge AS (SELECT DISTINCT a.grp, a.k, b.k AS o FROM cell a JOIN cell b ON a.grp = b.grp AND a.s = b.s AND a.i = b.i AND a.k <> b.k),
 nb AS (SELECT grp, k, list(o ORDER BY o) AS c FROM edge GROUP BY 1, 2),
 cc AS (SELECT num.grp, num.k, {{k: num.k, w: num.w_fp, s: num.spread_us, c: coalesce(nb.c, []::BIGINT[])}} AS me FROM num LEFT JOIN nb ON nb.grp = num.grp AND nb.k = num.k),
@@ -239,7 +256,7 @@ f(grp, i, g, won) AS (
         FROM f JOIN cc ON cc.grp = f.grp AND cc.k = f.i + 1 JOIN wl ON wl.grp = f.grp)),
 last AS (SELECT f.grp, {'won' if literal else f'CASE WHEN len(g) > 0 THEN list_append(won, {winner}) ELSE won END'} AS won FROM f JOIN wl ON wl.grp = f.grp AND f.i = wl.n),
 chosen AS (SELECT grp, unnest(won) AS k FROM last),
-ali AS (SELECT num.* FROM chosen JOIN num ON num.grp = chosen.grp AND num.k = chosen.k)"""
+ali AS (SELECT num.* EXCLUDE (grp, whole), num.whole AS grp FROM chosen JOIN num ON num.grp = chosen.grp AND num.k = chosen.k)"""
 
 
 def out(aligned: DataFrame, m: int = 4) -> DataFrame:
@@ -253,13 +270,16 @@ for _m in ("greedy", "expectation"):
     QUERIES[f"{_m}_ev4"] = (partial(lambda s, d, m: K.align_to_wide(align_planned(series(s, d), 4, P, m), series(s, d), 4), m=_m), None)
     QUERIES[f"{_m}_blocks"] = (partial(lambda s, d, m: out(blocks.align_blocks(series(s, d), 4, P, m)), m=_m), None)
     for _n in ("li4", "or4"):
-        QUERIES[f"{_m}_{_n}"] = (partial(lambda s, d, m, n: out(K.align(series(s, d, n), 4, P.with_(theta=W.theta_of(n)), m)), m=_m, n=_n), None)
-    QUERIES[f"{_m}_ev11"] = (partial(lambda s, d, m: K.align(series(s, d, "ev11"), 11, P.with_(theta=W.theta_of("ev11")), m), m=_m), None)
+        QUERIES[f"{_m}_{_n}"] = (partial(lambda s, d, m, n: out(K.align(series(s, d, n), 4, P.with_(theta=W.theta_of(n)), m)), m=_m, n=_n), f"{fold_sql(_m, P.with_(theta=W.theta_of(_n)), _n)} {OUT_SQL}")
+    QUERIES[f"{_m}_ev11"] = (partial(lambda s, d, m: out(K.align(series(s, d, "ev11"), 11, P11, m), 11), m=_m), f"{fold_sql(_m, P11, 'ev11', m=11)} SELECT grp, {', '.join(f'i{j}' for j in range(1, 12))}, w_fp FROM ali")
 QUERIES["greedy_literal"] = (lambda s, d: out(K.align(series(s, d, "evu"), 4, P.with_(literal=True), "greedy")), f"{fold_sql('greedy', literal=True)} {OUT_SQL}")
 QUERIES["expectation_literal"] = (lambda s, d: out(K.align(series(s, d, "evu"), 4, P.with_(literal=True), "expectation")), f"{fold_sql('expectation', literal=True)} {OUT_SQL}")
 QUERIES["greedy_hash_ties"] = (lambda s, d: out(K.align(series(s, d, "evu"), 4, P.with_(tie="hash"), "greedy")), None)
 QUERIES["expectation_live_only"] = (lambda s, d: out(K.align(series(s, d, "evu"), 4, P.with_(expect_live_only=True), "expectation")), None)
 QUERIES["expectation_best_disjoint"] = (lambda s, d: out(K.align(series(s, d, "evu"), 4, P.with_(expect_mode="best_disjoint"), "expectation")), None)
+QUERIES["fold_counters"] = (
+    lambda s, d: K.report(series(s, d, "evu"), 4, P, "expectation").select("grp", "candidates", "cliques"),
+    f"{fold_sql('expectation')}, c AS (SELECT grp, count(*)::BIGINT AS candidates FROM cand GROUP BY 1), n AS (SELECT grp, count(*)::BIGINT AS cliques FROM ali GROUP BY 1) SELECT c.grp, c.candidates, n.cliques FROM c JOIN n USING (grp)")
 QUERIES["packing_evu"] = (lambda s, d: out(K.align(series(s, d, "evu"), 4, P, "packing")), None)
 QUERIES["packing_parallel_evu"] = (lambda s, d: out(K.align(series(s, d, "evu"), 4, P, "packing_parallel")), None)
 
@@ -268,13 +288,32 @@ def tiny_align(spark, method: str, p: AlignParams = TINY):
     return K.align(W.tiny(spark, "t2"), 3, p, method).select("grp", *xs(3), "w_fp")
 
 
-SUBSETS = f"""{TINY_SQL}, num AS (SELECT *, row_number() OVER (ORDER BY i1, i2, i3) - 1 AS k FROM cand),
+ENUMERATED = """sub AS (SELECT *, row_number() OVER (ORDER BY i1, i2, i3) - 1 AS k FROM cand),
 masks AS (SELECT m FROM range(1, 64) r(m)),
-bad AS (SELECT DISTINCT m FROM masks, num a, num b WHERE (m >> a.k) & 1 = 1 AND (m >> b.k) & 1 = 1 AND a.k < b.k AND (a.i1 = b.i1 OR a.i2 = b.i2 OR a.i3 = b.i3)),
-val AS (SELECT m AS mask, sum(w_fp)::BIGINT AS w_fp FROM masks JOIN num ON (m >> k) & 1 = 1 WHERE m NOT IN (SELECT m FROM bad) GROUP BY 1)"""
+bad AS (SELECT DISTINCT m FROM masks, sub a, sub b WHERE (m >> a.k) & 1 = 1 AND (m >> b.k) & 1 = 1 AND a.k < b.k AND (a.i1 = b.i1 OR a.i2 = b.i2 OR a.i3 = b.i3)),
+val AS (SELECT m AS mask, sum(w_fp)::BIGINT AS w_fp FROM masks JOIN sub ON (m >> k) & 1 = 1 WHERE m NOT IN (SELECT m FROM bad) GROUP BY 1)"""
+SUBSETS = f"{TINY_SQL}, {ENUMERATED}"
 QUERIES["exact_nomodel"] = (lambda s, d: K.compose_exact(C.candidates(W.tiny(s, "t2"), 3, TINY), 3).select("mask", "w_fp"), f"{SUBSETS} SELECT mask, w_fp FROM val ORDER BY w_fp DESC, mask LIMIT 1")
 QUERIES["exact_subsets"] = (lambda s, d: K.subsets(C.candidates(W.tiny(s, "t2"), 3, TINY), 3).select("mask", "w_fp"), f"{SUBSETS} SELECT mask, w_fp FROM val")
-QUERIES["exact_tiny"] = (lambda s, d: tiny_align(s, "exact"), f"{SUBSETS}, top AS (SELECT mask FROM val ORDER BY w_fp DESC, mask LIMIT 1) SELECT grp, i1, i2, i3, w_fp FROM num JOIN top ON (mask >> k) & 1 = 1")
+QUERIES["exact_tiny"] = (lambda s, d: tiny_align(s, "exact"), f"{SUBSETS}, top AS (SELECT mask FROM val ORDER BY w_fp DESC, mask LIMIT 1) SELECT grp, i1, i2, i3, w_fp FROM sub JOIN top ON (mask >> k) & 1 = 1")
+
+LIMIT = 0.3
+#: Every conflict-free subset predicted by its last values, and the heaviest whose error the limit allows.
+SUBSET_DELTA = f"""{SUBSETS}, alt AS (SELECT val.mask, val.w_fp, sub.*EXCLUDE (w_fp), row_number() OVER (PARTITION BY val.mask ORDER BY sub.k) AS pos FROM val JOIN sub ON (mask >> k) & 1 = 1),
+c AS (SELECT mask, pos, unnest([1, 2, 3]) AS sid, unnest([i1, i2, i3]) AS idx FROM alt), v AS (SELECT c.*, s.val AS v FROM c JOIN series s ON s.sid = c.sid AND s.idx = c.idx),
+l AS (SELECT mask, sid, coalesce(abs(v - last_value(v IGNORE NULLS) OVER (PARTITION BY mask, sid ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)), 0) AS loss FROM v),
+mu AS (SELECT sid, count(val) * (max(val) - min(val)) AS mu FROM series GROUP BY 1),
+e AS (SELECT mask, l.sid, sum(loss) / any_value(nullif(mu, 0)) AS nmae FROM l JOIN mu ON mu.sid = l.sid GROUP BY 1, 2), dl AS (SELECT mask, avg(nmae) AS delta FROM e GROUP BY 1)"""
+
+
+def tiny_deltas(spark):
+    s = W.tiny(spark, "t2")
+    cand = C.candidates(s, 3, TINY)
+    return cand, lambda ranked: S.subset_deltas(ranked, cand, s, 3)
+
+
+QUERIES["exact_deltas"] = (lambda s, d: (lambda cand, of: of(K.subsets(cand, 3)).select("mask", "w_fp", F.round("delta", 6).alias("delta")))(*tiny_deltas(s)), f"{SUBSET_DELTA} SELECT mask, val.w_fp, round(delta, 6) AS delta FROM val JOIN dl USING (mask)")
+QUERIES["exact_delta_tiny"] = (lambda s, d: (lambda cand, of: K.compose_exact(cand, 3, of, LIMIT).select("mask", "w_fp"))(*tiny_deltas(s)), f"{SUBSET_DELTA} SELECT mask, val.w_fp FROM val JOIN dl USING (mask) WHERE delta <= {LIMIT} ORDER BY val.w_fp DESC, mask LIMIT 1")
 
 
 @query("packing_init", f"""{cands('evu')}, num AS (SELECT *, row_number() OVER (PARTITION BY grp ORDER BY w_fp DESC, i1, i2, i3, i4) AS k FROM cand), wl AS (SELECT grp, max(k) AS n FROM num GROUP BY 1),
@@ -332,13 +371,18 @@ def lemma_window(spark, sf_dir):
 
 # --- model consistency -----------------------------------------------------------------------------------------------------
 
-PRED = f"""{ALI}, pos AS (SELECT *, row_number() OVER (PARTITION BY grp ORDER BY i1, i2, i3, i4) AS pos FROM ali), c AS (SELECT grp, pos, unnest([1, 2, 3, 4]) AS sid, unnest([i1, i2, i3, i4]) AS idx FROM pos),
-val AS (SELECT c.grp, c.pos, c.sid, c.idx, s.val FROM c JOIN series s ON s.grp = c.grp AND s.sid = c.sid AND s.idx = c.idx),
-pred AS (SELECT *, last_value(val IGNORE NULLS) OVER (PARTITION BY grp, sid ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS pred FROM val),
-loss AS (SELECT *, coalesce(abs(pred - val), 0) AS loss FROM pred),
-mu0 AS (SELECT grp, sid, count(val) * (max(val) - min(val)) AS mu FROM series GROUP BY 1, 2), mu AS (SELECT grp, sid, CASE WHEN mu > 0 THEN mu END AS mu FROM mu0),
-nmae AS (SELECT loss.grp, loss.sid, sum(loss) / any_value(mu) AS nmae FROM loss JOIN mu ON mu.grp = loss.grp AND mu.sid = loss.sid GROUP BY 1, 2),
-delta AS (SELECT grp, avg(nmae) AS delta FROM nmae GROUP BY 1)"""
+def pred_chain(source: str, tag: str = "") -> str:
+    """CTEs from a result (grp, i1..i4) to ``delta`` by last values."""
+    return f"""pos{tag} AS (SELECT *, row_number() OVER (PARTITION BY grp ORDER BY i1, i2, i3, i4) AS pos FROM {source}), c{tag} AS (SELECT grp, pos, unnest([1, 2, 3, 4]) AS sid, unnest([i1, i2, i3, i4]) AS idx FROM pos{tag}),
+val{tag} AS (SELECT c.grp, c.pos, c.sid, c.idx, s.val FROM c{tag} c JOIN series s ON s.grp = c.grp AND s.sid = c.sid AND s.idx = c.idx),
+pred{tag} AS (SELECT *, last_value(val IGNORE NULLS) OVER (PARTITION BY grp, sid ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS pred FROM val{tag}),
+loss{tag} AS (SELECT *, coalesce(abs(pred - val), 0) AS loss FROM pred{tag}),
+mu0{tag} AS (SELECT grp, sid, count(val) * (max(val) - min(val)) AS mu FROM series GROUP BY 1, 2), mu{tag} AS (SELECT grp, sid, CASE WHEN mu > 0 THEN mu END AS mu FROM mu0{tag}),
+nmae{tag} AS (SELECT l.grp, l.sid, sum(l.loss) / any_value(u.mu) AS nmae FROM loss{tag} l JOIN mu{tag} u ON u.grp = l.grp AND u.sid = l.sid GROUP BY 1, 2),
+delta{tag} AS (SELECT grp, avg(nmae) AS delta FROM nmae{tag} GROUP BY 1)"""
+
+
+PRED = f"{ALI}, {pred_chain('ali')}"
 
 
 def _aligned(spark, sf_dir):
@@ -396,13 +440,39 @@ def wl_delta(spark, sf_dir):
     return d.groupBy("lim").agg(F.count_if(F.col("delta") <= F.col("lim")).alias("feasible"))
 
 
-@query("pick_feasible", "WITH a(grp, alt, w_fp, delta) AS (SELECT user_id::VARCHAR, event_type, sum(round(value * 100))::BIGINT, round(avg(value) / 100, 6) FROM events GROUP BY 1, 2) SELECT grp, arg_max(alt, (w_fp, alt)) AS alt, max(w_fp)::BIGINT AS w_fp FROM a WHERE delta <= 0.5 GROUP BY 1")
+@query("pick_feasible", f"""{PRED}, diag AS (SELECT * FROM cand WHERE i1 = i2 AND i2 = i3 AND i3 = i4), {pred_chain('diag', '2')},
+alt AS (SELECT grp, 'greedy' AS alt, sum(w_fp)::BIGINT AS w_fp FROM ali GROUP BY 1 UNION ALL SELECT grp, 'diagonal', sum(w_fp)::BIGINT FROM diag GROUP BY 1),
+err AS (SELECT grp, 'greedy' AS alt, delta FROM delta UNION ALL SELECT grp, 'diagonal', delta FROM delta2)
+SELECT grp, arg_max(alt, (alt.w_fp, alt)) AS alt, max(alt.w_fp) AS w_fp FROM alt JOIN err USING (grp, alt) WHERE round(delta, 6) <= 0.28 GROUP BY 1""")
 def pick_feasible(spark, sf_dir):
-    e = spark.read.parquet(f"{sf_dir}/events.parquet")
-    alts = e.groupBy(F.col("user_id").cast("string").alias("grp"), F.col("event_type").alias("alt")).agg(F.sum(F.round(F.col("value") * 100)).cast("long").alias("w_fp"), F.round(F.avg("value") / 100, 6).alias("delta"))
-    return S.pick_feasible(alts, 0.5)
+    """The heavier of two results of each group, greedy's and the diagonal one, that the model accepts."""
+    s = series(spark, sf_dir, "evu")
+    cand = C.candidates(s, 4, P).where(F.array_max("x") == F.array_min("x"))
+    results = {"greedy": K.align(s, 4, P, "greedy"), "diagonal": cand.select("grp", F.col("x")[0].alias("pos"), "x", "lam", "w", "w_fp")}
+    alts = None
+    for name, aligned in results.items():
+        part = Q.total_weight(aligned).join(S.delta(aligned, s, 4), "grp").select("grp", F.lit(name).alias("alt"), "w_fp", F.round("delta", 6).alias("delta"))
+        alts = part if alts is None else alts.unionByName(part)
+    return S.pick_feasible(alts, 0.28)
+
+
+DELTA = P.with_(delta=0.27, max_rounds=1)
 
 
+def feasible(spark, sf_dir, method: str, model: str = "locf", p: AlignParams = DELTA) -> DataFrame:
+    """(grp, status, n_aligned, w_fp) of a composer under the model constraint."""
+    got = align_until_feasible(series(spark, sf_dir, "evu"), 4, p, method, model)
+    return got.groupBy("grp", "status").agg(F.count("x").alias("n_aligned"), F.coalesce(F.sum("w_fp"), F.lit(0)).alias("w_fp"))
+
+
+for _m in ("greedy", "expectation"):
+    QUERIES[f"{_m}_delta"] = (partial(lambda s, d, m: feasible(s, d, m), m=_m), f"{fold_sql(_m)}, {pred_chain('ali')}, n AS (SELECT grp, count(*)::BIGINT AS n_aligned, sum(w_fp)::BIGINT AS w_fp FROM ali GROUP BY 1) SELECT grp, CASE WHEN delta > {DELTA.delta} THEN 'infeasible' ELSE 'feasible' END AS status, n_aligned, w_fp FROM n JOIN delta USING (grp)")
+    QUERIES[f"{_m}_delta_rounds"] = (partial(lambda s, d, m: feasible(s, d, m, p=DELTA.with_(max_rounds=5)), m=_m), None)
+    QUERIES[f"{_m}_marss"] = (partial(lambda s, d, m: feasible(s, d, m, "marss", DELTA.with_(delta=0.25)), m=_m), None)
+QUERIES["packing_delta"] = (lambda s, d: feasible(s, d, "packing"), None)
+QUERIES["packing_marss"] = (lambda s, d: feasible(s, d, "packing", "marss", DELTA.with_(delta=0.25)), None)
+QUERIES["delta_marss_scan"] = (lambda s, d: S.delta(K.align(series(s, d), 4, P, "greedy"), series(s, d), 4, "marss_scan"), None)
+
 # --- measures ----------------------------------------------------------------------------------------------------------------
 
 PAIRS = """pr AS (SELECT grp, 1 AS sid_a, i1 AS idx_a, 2 AS sid_b, i2 AS idx_b FROM ali UNION ALL SELECT grp, 1, i1, 3, i3 FROM ali UNION ALL SELECT grp, 1, i1, 4, i4 FROM ali
@@ -411,8 +481,11 @@ SCORE = f"""{PAIRS}, n AS (SELECT (SELECT count(*) FROM pr) AS found, (SELECT co
 SELECT round(hits / found, 6) AS precision, round(hits / truth, 6) AS recall, round(2.0 * hits / (found + truth), 6) AS f1 FROM n"""
 
 QUERIES["pairs_recovered"] = (lambda s, d: Q.pairs_recovered(K.align(series(s, d, "evu"), 4, P, "greedy")), f"{ALI}, {PAIRS} SELECT grp, sid_a::INT AS sid_a, idx_a, sid_b::INT AS sid_b, idx_b FROM pr")
-QUERIES["pairs_truth"] = (lambda s, d: Q.pairs_truth(series(s, d, "evu")), f"{cells('evu')} SELECT a.grp, a.sid AS sid_a, a.idx AS idx_a, b.sid AS sid_b, b.idx AS idx_b FROM series a JOIN series b ON a.grp = b.grp AND a.idx = b.idx AND a.sid < b.sid")
-QUERIES["pairs_observed"] = (lambda s, d: Q.pairs_truth(series(s, d, "evu"), "observed"), f"{cells('evu')} SELECT a.grp, a.sid AS sid_a, a.idx AS idx_a, b.sid AS sid_b, b.idx AS idx_b FROM series a JOIN series b ON a.grp = b.grp AND a.idx = b.idx AND a.sid < b.sid WHERE a.val IS NOT NULL AND b.val IS NOT NULL")
+_SIDS = "(VALUES (1, 2), (1, 3), (1, 4), (2, 3), (2, 4), (3, 4)) p(a, b)"
+_ROWS = "r AS (SELECT grp, idx, list(val IS NOT NULL ORDER BY sid) AS has FROM series GROUP BY 1, 2)"
+_PAIRED = f"{cells('evu')}, {_ROWS} SELECT grp, p.a::INT AS sid_a, idx AS idx_a, p.b::INT AS sid_b, idx AS idx_b FROM r, {_SIDS}"
+QUERIES["pairs_truth"] = (lambda s, d: Q.pairs_truth(series(s, d, "evu")), _PAIRED)
+QUERIES["pairs_observed"] = (lambda s, d: Q.pairs_truth(series(s, d, "evu"), "observed"), f"{_PAIRED} WHERE has[p.a] AND has[p.b]")
 
 
 def score(spark, sf_dir, method: str, name: str = "evu", rate: float = RATE, p: AlignParams = P) -> DataFrame:
@@ -432,13 +505,13 @@ for _m in ("greedy", "expectation"):
 
 QUERIES["ratio_tiny"] = (
     lambda s, d: Q.approx_ratio(K.align(W.tiny(s, "t2"), 3, TINY.with_(literal=True), "greedy"), K.align(W.tiny(s, "t2"), 3, TINY, "exact")).select(F.round("ratio", 6).alias("ratio")),
-    f"{SUBSETS} SELECT round(4000000000 / max(w_fp), 6) AS ratio FROM val")
+    f"{fold_sql('greedy', literal=True, head=TINY_SQL, m=3)}, {ENUMERATED} SELECT round((SELECT sum(w_fp) FROM ali) / max(w_fp), 6) AS ratio FROM val")
 
 # --- parameters and sweeps -------------------------------------------------------------------------------------------------
 
 GAPS = "g AS (SELECT a.grp, abs(a.ts_us - b.ts_us) AS gap FROM series a JOIN series b ON a.grp = b.grp AND a.idx = b.idx AND a.sid < b.sid WHERE a.ts_us IS NOT NULL AND b.ts_us IS NOT NULL)"
-QUERIES["fit_theta"] = (lambda s, d: T.fit_theta(series(s, d)).select(F.round("theta", 3).alias("theta")), f"{cells()}, {GAPS} SELECT round(quantile_cont(gap, 0.95), 3) AS theta FROM g")
-QUERIES["wl_auto_theta"] = (lambda s, d: T.fit_theta(series(s, d, "evu")).select(F.round("theta", 3).alias("theta")), f"{cells('evu')}, {GAPS} SELECT round(quantile_cont(gap, 0.95), 3) AS theta FROM g")
+QUERIES["fit_theta"] = (lambda s, d: T.fit_theta(series(s, d), exact=True).select(F.round("theta", 3).alias("theta")), f"{cells()}, {GAPS} SELECT round(quantile_cont(gap, 0.95), 3) AS theta FROM g")
+QUERIES["wl_auto_theta"] = (lambda s, d: T.fit_theta(series(s, d, "evu"), exact=True).select(F.round("theta", 3).alias("theta")), f"{cells('evu')}, {GAPS} SELECT round(quantile_cont(gap, 0.95), 3) AS theta FROM g")
 
 
 @query("fit_beta", f"{cands(p=P.with_(beta=4))}, dd AS (SELECT unnest([abs(i1 - i2), abs(i1 - i3), abs(i1 - i4), abs(i2 - i3), abs(i2 - i4), abs(i3 - i4)]) AS dist FROM cand) SELECT greatest(1, ceil(quantile_cont(dist, 0.8)))::BIGINT AS beta FROM dd")
@@ -446,7 +519,7 @@ def fit_beta(spark, sf_dir):
     return spark.range(1).select(F.lit(T.fit_beta(series(spark, sf_dir), 4, P)).cast("long").alias("beta"))
 
 
-GRID_T, GRID_B = [k * SECOND for k in range(20, 141, 20)], [1, 2, 3]
+GRID_T, GRID_B = [k * SECOND for k in range(20, 141, 20)], [1, 2, 3, 4]
 
 
 @query("wl_theta_beta_counts", f"{cands(p=P.with_(theta=max(GRID_T), beta=max(GRID_B)))}, g AS (SELECT t.t AS theta, b.b AS beta FROM (SELECT unnest({GRID_T}) AS t) t, (SELECT unnest({GRID_B}) AS b) b) SELECT theta::BIGINT AS theta, beta::INT AS beta, count(*)::BIGINT AS n FROM cand JOIN g ON spread_us <= theta AND phi <= beta GROUP BY 1, 2")
@@ -459,22 +532,28 @@ QUERIES["fit_weights"] = (lambda s, d: T.fit_weights(series(s, d, "evu"), 4, P),
 QUERIES["fit_weights_argmin"] = (lambda s, d: T.best_weights(T.fit_weights(series(s, d, "evu"), 4, P)), None)
 
 
+def at_theta(name: str) -> AlignParams:
+    return P.with_(theta=W.theta_of(name))
+
+
 def sweep_f1(spark, sf_dir, grid: list[AlignParams], method: str, name: str = "evu") -> DataFrame:
-    """F1 and tuples of every grid point, from one composition job."""
-    s = series(spark, sf_dir, name)
-    made = T.compose_grid(s, 4, grid, method)
-    pairs = Q.pairs_recovered(made.withColumn("grp", F.concat_ws("@", "point", "grp")))
-    n = made.groupBy("point").agg(F.count("*").alias("n_aligned"), F.sum("w_fp").alias("w_fp"))
-    hits = pairs.groupBy(F.split("grp", "@")[0].cast("int").alias("point")).agg(F.count("*").alias("found"), F.count_if(F.col("idx_a") == F.col("idx_b")).alias("both"))
-    truth = s.count() // 4 * 6
-    point = spark.createDataFrame([(i, g.theta, g.beta, g.k1, g.k2) for i, g in enumerate(grid)], "point int, theta long, beta int, k1 double, k2 double")
-    f1 = 2 * F.col("both") / (F.col("found") + F.lit(truth))
-    return n.join(hits, "point").join(F.broadcast(point), "point").select("theta", "beta", "k1", "k2", "n_aligned", "w_fp", F.round(f1, 6).alias("f1"))
+    return E.grid(spark, sf_dir, name, grid, method)
 
 
 for _m in ("greedy", "expectation"):
-    QUERIES[f"wl_theta_beta_f1_{_m}"] = (partial(lambda s, d, m: sweep_f1(s, d, [P.with_(theta=t, beta=b) for t in GRID_T for b in (1, 2)], m), m=_m), None)
-    QUERIES[f"wl_kgrid_{_m}"] = (partial(lambda s, d, m: sweep_f1(s, d, [P.with_(k1=float(a), k2=float(b)) for a in range(1, 7) for b in range(1, 7)], m), m=_m), None)
+    for _n in ("evu", "li4"):
+        QUERIES[f"wl_theta_beta_f1_{_m}" + ("" if _n == "evu" else f"_{_n}")] = (partial(lambda s, d, m, n: sweep_f1(s, d, E.theta_grid(n), m, n), m=_m, n=_n), None)
+    for _n in ("evu", "li4", "or4"):
+        QUERIES[f"wl_kgrid_{_m}" + ("" if _n == "evu" else f"_{_n}")] = (partial(lambda s, d, m, n: sweep_f1(s, d, E.weight_grid(n), m, n), m=_m, n=_n), None)
+for _n in E.SETS:
+    QUERIES[f"wl_table_{_n}"] = (partial(lambda s, d, n: E.ours(s, d, n), n=_n), None)
+    QUERIES[f"wl_auto_{_n}"] = (partial(lambda s, d, n: E.chosen_params(s, d, n), n=_n), None)
+for _n in ("li4", "or4", "ev11"):
+    QUERIES[f"wl_warped_{_n}"] = (partial(lambda s, d, n: E.warped(s, d, n), n=_n), None)
+QUERIES["wl_sizes"] = (lambda s, d: E.sizes(s, d), None)
+for _m in ("greedy", "expectation"):
+    for _n in ("li4", "or4"):
+        QUERIES[f"wl_f1_{_m}_{_n}"] = (QUERIES[f"wl_f1_{_m}_{_n}"][0], f"{fold_sql(_m, at_theta(_n), _n)}, {SCORE}")
 
 # --- imputers and baselines --------------------------------------------------------------------------------------------------
 
@@ -491,13 +570,16 @@ QUERIES["impute_linear_ts"] = (lambda s, d: I.interpolate(series(s, d, "evu"), "
 QUERIES["impute_linear_val"] = (lambda s, d: I.interpolate(series(s, d, "evu"), "val").select("grp", "sid", "idx", F.round("val", 9).alias("val")), linear_sql("val", "round({}, 9) AS val"))
 
 
+_MEAN = "(2 * sum(round(val * 1000000)::BIGINT) OVER w + count(val) OVER w)::BIGINT // (2 * count(val) OVER w)"
+
+
 def filled(s: DataFrame, how: str) -> DataFrame:
     """Imputed values rounded, known ones as they are."""
     done = I.impute_simple(s.withColumn("had", F.col("val").isNotNull()), how)
     return done.select("grp", "sid", "idx", F.when(F.col("had"), F.col("val")).otherwise(F.round("val", 3)).alias("val"))
 
 
-QUERIES["impute_mean"] = (lambda s, d: filled(series(s, d, "evu"), "mean"), f"{cells('evu')} SELECT grp, sid, idx, coalesce(val, round(avg(val) OVER (PARTITION BY grp, sid), 3)) AS val FROM series")
+QUERIES["impute_mean"] = (lambda s, d: I.impute_simple(series(s, d, "evu"), "mean").select("grp", "sid", "idx", "val"), f"{cells('evu')} SELECT grp, sid, idx, coalesce(val, ({_MEAN})::DOUBLE / 1000000::DOUBLE) AS val FROM series WINDOW w AS (PARTITION BY grp, sid)")
 QUERIES["impute_median"] = (lambda s, d: filled(series(s, d, "evu"), "median"), f"{cells('evu')}, q AS (SELECT grp, sid, quantile_cont(val, 0.5) AS q FROM series GROUP BY 1, 2) SELECT grp, sid, idx, coalesce(val, round(q, 3)) AS val FROM series JOIN q USING (grp, sid)")
 QUERIES["impute_locf"] = (lambda s, d: I.impute_simple(series(s, d, "evu"), "locf").select("grp", "sid", "idx", "val"), f"{cells('evu')} SELECT grp, sid, idx, coalesce(last_value(val IGNORE NULLS) OVER (PARTITION BY grp, sid ORDER BY idx ROWS UNBOUNDED PRECEDING), first_value(val IGNORE NULLS) OVER (PARTITION BY grp, sid ORDER BY idx ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING)) AS val FROM series")
 QUERIES["impute_seasonal"] = (lambda s, d: I.impute_simple(series(s, d), "seasonal").select("sid", "idx", F.round("val", 5).alias("val")), f"{cells()}, h AS (SELECT *, (ts_us // 3600000000) % 24 AS h FROM series), b AS (SELECT sid, h, avg(val) AS s FROM h GROUP BY 1, 2), a AS (SELECT sid, avg(val) AS m FROM series GROUP BY 1) SELECT h.sid, h.idx, round(coalesce(val, s, m), 5) AS val FROM h LEFT JOIN b ON b.sid = h.sid AND b.h = h.h JOIN a ON a.sid = h.sid")
@@ -511,10 +593,34 @@ QUERIES["base_exact_ts"] = (lambda s, d: B.align_exact_ts(series(s, d, "li4", 0.
 _asof = lambda k: f"e{k} AS (SELECT a.idx AS i1, b.idx AS i{k} FROM (SELECT idx, ts_us FROM u WHERE sid = 1) a ASOF JOIN (SELECT * FROM u WHERE sid = {k}) b ON a.ts_us >= b.ts_us WHERE a.ts_us - b.ts_us <= {P.theta})"
 QUERIES["base_asof"] = (lambda s, d: B.align_asof(series(s, d), 4, P.theta).select(*xs()),
     f"{cells()}, u AS (SELECT sid, ts_us, max(idx) AS idx FROM series WHERE ts_us IS NOT NULL AND sid > 1 GROUP BY 1, 2 UNION ALL SELECT sid, ts_us, idx FROM series WHERE ts_us IS NOT NULL AND sid = 1), {_asof(2)}, {_asof(3)}, {_asof(4)} SELECT i1, i2, i3, i4 FROM e2 JOIN e3 USING (i1) JOIN e4 USING (i1)")
-QUERIES["base_sequential"] = (lambda s, d: out(B.align_sequential(I.complete_for(series(s, d, "evu"), 4, "linear"), 4, P, 1)).drop("w_fp"), None)
+_FULL = f"""{cells('evu')}, near_t AS (SELECT *, {NEAR.format(c='ts_us')} FROM series), tf AS (SELECT grp, sid, idx, floor({LINEAR.format(c='ts_us')})::BIGINT AS ts_us FROM near_t),
+raw AS (SELECT a.grp, a.idx AS i1, b.idx AS i2, c.idx AS i3, d.idx AS i4, greatest(a.ts_us, b.ts_us, c.ts_us, d.ts_us) - least(a.ts_us, b.ts_us, c.ts_us, d.ts_us) AS spread_us FROM tf a
+  JOIN tf b ON b.grp = a.grp AND b.sid = 2 AND b.ts_us BETWEEN a.ts_us - {P.theta} AND a.ts_us + {P.theta} JOIN tf c ON c.grp = a.grp AND c.sid = 3 AND c.ts_us BETWEEN a.ts_us - {P.theta} AND a.ts_us + {P.theta}
+  JOIN tf d ON d.grp = a.grp AND d.sid = 4 AND d.ts_us BETWEEN a.ts_us - {P.theta} AND a.ts_us + {P.theta} WHERE a.sid = 1),
+cand AS (SELECT *, 0::BIGINT AS w_fp FROM raw WHERE spread_us <= {P.theta})"""
+QUERIES["base_sequential"] = (lambda s, d: out(B.align_sequential(I.complete_for(series(s, d, "evu"), 4, "linear"), 4, P)).drop("w_fp"), f"{fold_sql('sequential', head=_FULL)} SELECT grp, i1, i2, i3, i4 FROM ali")
 for _w in B.WARPS:
     QUERIES[f"base_{_w}"] = (partial(lambda s, d, w: B.warp(I.complete_for(series(s, d, "evu"), 4, "linear"), 4, w).select("grp", *xs()), w=_w), None)
-    QUERIES[f"base_{_w}_count"] = (partial(lambda s, d, w: B.warp(I.complete_for(series(s, d, "evu"), 4, "linear"), 4, w).groupBy("grp").agg(F.count("*").alias("n")), w=_w), f"{cells('evu')} SELECT grp, count(DISTINCT idx)::BIGINT AS n FROM series GROUP BY 1")
+
+
+def dtw_sql(slopes: bool) -> str:
+    """Least warping cost of series 1 and each other series of every group, one anti-diagonal a step.
+
+    Costs are rounded a little above, since many stand exactly between two rounded values.
+    """
+    value = f"SELECT grp, sid, idx, coalesce({LINEAR.format(c='val')}, 0) AS v FROM nb"
+    slope = "list_transform(range(1, len(v) + 1), lambda i: CASE WHEN len(v) < 3 THEN 0 ELSE ((v[greatest(2, least(i, len(v) - 1))] - v[greatest(2, least(i, len(v) - 1)) - 1]) + (v[greatest(2, least(i, len(v) - 1)) + 1] - v[greatest(2, least(i, len(v) - 1)) - 1]) / 2) / 2 END)"
+    return f"""{cells('evu')}, nb AS (SELECT *, {NEAR.format(c='val')} FROM series), f AS ({value}), q0 AS (SELECT grp, sid, list(v ORDER BY idx) AS v FROM f GROUP BY 1, 2),
+q AS MATERIALIZED (SELECT grp, sid, {slope if slopes else 'v'} AS v FROM q0), ab AS MATERIALIZED (SELECT x.grp, y.sid, x.v AS a, y.v AS b, len(x.v) AS n, len(y.v) AS k FROM q x JOIN q y ON x.grp = y.grp AND x.sid = 1 AND y.sid > 1),
+w(grp, sid, s, d1, d2) AS (SELECT grp, sid, 0::BIGINT, list_transform(range(1, n + 1), lambda i: CASE WHEN i = 1 THEN abs(a[1] - b[1]) END), list_transform(range(1, n + 1), lambda i: NULL::DOUBLE) FROM ab
+  UNION ALL SELECT w.grp, w.sid, w.s + 1, list_transform(range(1, ab.n + 1), lambda i: CASE WHEN w.s + 2 - i BETWEEN 0 AND ab.k - 1 THEN abs(ab.a[i] - ab.b[w.s + 3 - i])
+    + least(CASE WHEN i > 1 THEN coalesce(w.d1[i - 1], 'infinity'::DOUBLE) ELSE 'infinity'::DOUBLE END, coalesce(w.d1[i], 'infinity'::DOUBLE), CASE WHEN i > 1 THEN coalesce(w.d2[i - 1], 'infinity'::DOUBLE) ELSE 'infinity'::DOUBLE END) END), w.d1
+  FROM w JOIN ab ON ab.grp = w.grp AND ab.sid = w.sid WHERE w.s < ab.n + ab.k - 2)
+SELECT w.grp, w.sid, round(w.d1[ab.n] + 1e-7, 4) AS cost FROM w JOIN ab ON ab.grp = w.grp AND ab.sid = w.sid AND w.s = ab.n + ab.k - 2"""
+
+
+for _w, _s in (("dtw", False), ("ddtw", True)):
+    QUERIES[f"base_{_w}_cost"] = (partial(lambda s, d, k: B.warp_costs(I.complete_for(series(s, d, "evu"), 4, "linear"), 4, k).select("grp", "sid", F.round(F.col("cost") + 1e-7, 4).alias("cost")), k=_s), dtw_sql(_s))
 
 
 @query("ddtw_slopes", f"{cells('evu', 0.0)}, l AS (SELECT grp, sid, idx, val, lag(val) OVER w AS a, lead(val) OVER w AS b FROM series WINDOW w AS (PARTITION BY grp, sid ORDER BY idx)) SELECT grp, sid, idx, round(((val - a) + (b - a) / 2) / 2, 8) AS slope FROM l WHERE a IS NOT NULL AND b IS NOT NULL")

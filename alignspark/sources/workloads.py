@@ -29,7 +29,6 @@ class Spec:
     base: str
 
 
-EVENT_TYPES = ("click", "view", "purchase", "scroll", "login")
 SPECS = {
     "ev4": Spec(4, 120 * SECOND, 90 * SECOND, """
         SELECT '' AS grp, event_id AS i0, epoch_us(ts) AS t, value AS v1, regexp_extract(props, '([0-9]+)', 1)::DOUBLE AS v2,
@@ -47,6 +46,10 @@ SPECS = {
           sum(o_totalprice) FILTER (o_orderpriority LIKE '1%') AS v1, sum(o_totalprice) FILTER (o_orderpriority LIKE '2%') AS v2,
           sum(o_totalprice) FILTER (o_orderpriority LIKE '3%') AS v3, sum(o_totalprice) FILTER (o_orderpriority LIKE '4%') AS v4
           FROM orders GROUP BY 1)"""),
+    "ev11": Spec(11, 20 * 60 * SECOND, 15 * 60 * SECOND, f"""
+        SELECT '' AS grp, row_number() OVER (ORDER BY t) - 1 AS i0, * FROM (SELECT (epoch_us(ts) // {3600 * SECOND} * {3600 * SECOND})::BIGINT AS t,
+          {', '.join(f'count(value) FILTER (k = {k})::DOUBLE AS v{2 * k - 1}, avg(value) FILTER (k = {k}) AS v{2 * k}' for k in range(1, 6))}, count(*)::DOUBLE AS v11
+          FROM (SELECT *, least(dense_rank() OVER (ORDER BY event_type), 5) AS k FROM events) GROUP BY 1)"""),
 }
 
 
@@ -89,10 +92,12 @@ def base(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         return days.withColumn("i0", F.row_number().over(Window.orderBy("t")).cast("long") - 1).withColumn("grp", F.lit(""))
     if name == "ev11":
         hour = F.floor(_micros("ts") / F.lit(3600 * SECOND))
-        kinds = [r[0] for r in read("events").select("event_type").distinct().orderBy("event_type").limit(5).collect()]
+        # four types by name, and all others as the fifth
+        names = [r[0] for r in read("events").select("event_type").distinct().orderBy("event_type").limit(4).collect()]
         aggs = [F.count("*").cast("double").alias("v11")]
-        for k, kind in enumerate(kinds):
-            mine = F.when(F.col("event_type") == kind, F.col("value"))
+        for k in range(5):
+            own = F.col("event_type") == names[k] if k < len(names) else ~F.col("event_type").isin(names) if k == 4 else F.lit(False)
+            mine = F.when(own, F.col("value"))
             aggs += [F.count(mine).cast("double").alias(f"v{2 * k + 1}"), F.avg(mine).alias(f"v{2 * k + 2}")]
         hours = read("events").groupBy((hour * 3600 * SECOND).cast("long").alias("t")).agg(*aggs)
         return hours.withColumn("i0", F.row_number().over(Window.orderBy("t")).cast("long") - 1).withColumn("grp", F.lit(""))
@@ -100,15 +105,15 @@ def base(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def arity(name: str) -> int:
-    return 11 if name == "ev11" else SPECS[name].m
+    return SPECS[name].m
 
 
 def jitter_of(name: str) -> int:
-    return 20 * 60 * SECOND if name == "ev11" else SPECS[name].jitter
+    return SPECS[name].jitter
 
 
 def theta_of(name: str) -> int:
-    return 15 * 60 * SECOND if name == "ev11" else SPECS[name].theta
+    return SPECS[name].theta
 
 
 def skew(cells: DataFrame, jitter: int) -> DataFrame:
@@ -133,7 +138,7 @@ def blank(cells: DataFrame, rate: float, pattern: str = "mcar", mode: str = "ind
     u = lambda tag: hash32(F.col("sid"), place, F.lit(tag))
     if pattern in ("mar", "mnar"):
         means = cells.groupBy("grp", "sid").agg(F.avg("val").alias("mean"))
-        cells = cells.join(F.broadcast(means), ["grp", "sid"])
+        cells = cells.join(means, ["grp", "sid"])
         high = F.col("val") > F.col("mean")
         if pattern == "mar":
             nearby = cells.select("grp", "i0", (F.col("sid") - 1).alias("sid"), high.alias("high"))
@@ -174,16 +179,22 @@ def complete(spark: SparkSession, sf_dir: str, name: str, n: int | None = None)
     return melt(rows, arity(name)).select("grp", "sid", (F.col("i0") + 1).alias("idx"), F.col("t").alias("ts_us"), "val")
 
 
-def sql(name: str, rate: float = 0.2, n: int | None = None) -> str:
+def sql(name: str, rate: float = 0.2, n: int | None = None, pattern: str = "mcar") -> str:
     """CTEs that end in ``series``: the same cells, for DuckDB."""
     spec, limit = SPECS[name], int(rate * 2**32)
-    u = lambda tag: f"('0x' || substr(md5(concat_ws('|', sid, i0, '{tag}')), 1, 8))::BIGINT"
+    place = "i0" if pattern != "block" else "i0 // 8"
+    u = lambda tag, at="i0": f"('0x' || substr(md5(concat_ws('|', sid, {at}, '{tag}')), 1, 8))::BIGINT"
     value = "CASE sid " + " ".join(f"WHEN {j} THEN v{j}" for j in range(1, spec.m + 1)) + " END"
+    least, high = str(limit), ""
+    if pattern in ("mar", "mnar"):
+        own = "v > avg(v) OVER (PARTITION BY grp, sid)"
+        high = f"marked AS (SELECT *, {own} AS own FROM fifo), ruled AS (SELECT *, " + ("own" if pattern == "mnar" else "lead(own) OVER (PARTITION BY grp, i0 ORDER BY sid)") + " AS high FROM marked),\n"
+        least = f"CASE WHEN coalesce(high, false) THEN {int(limit * 3 / 2)} ELSE {int(limit / 2)} END"
     return f"""base AS ({spec.base}),
 cells AS (SELECT grp, i0, t, sid::INT AS sid, round({value}, 6) AS v FROM base, range(1, {spec.m + 1}) s(sid) {f'WHERE i0 < {n}' if n else ''}),
 late AS (SELECT *, t + ((({u('d')} >> 8) * {spec.jitter}) >> 24) AS td FROM cells),
 fifo AS (SELECT *, max(td) OVER (PARTITION BY grp, sid ORDER BY i0 ROWS UNBOUNDED PRECEDING) AS tf FROM late),
-series AS (SELECT grp, sid, i0 + 1 AS idx, CASE WHEN {u('t')} >= {limit} THEN tf END AS ts_us, CASE WHEN {u('v')} >= {limit} THEN v END AS val FROM fifo)"""
+{high}series AS (SELECT grp, sid, i0 + 1 AS idx, CASE WHEN {u('t', place)} >= {least} THEN tf END AS ts_us, CASE WHEN {u('v', place)} >= {least} THEN v END AS val FROM {'ruled' if high else 'fifo'})"""
 
 
 #: Hand-checked fixtures: (sid, idx, seconds, value).

@@ -54,8 +54,18 @@ def dedupe(spark, sf_dir):
     return drained(twice.dropDuplicates(["event_id", "at"]).select("event_id", "user_id"), "append")
 
 
+def interval_join(spark, sf_dir):
+    """Two channels as two streams: every click with the views of the same user in the six hours after it."""
+    e = stream(spark, sf_dir)
+    clicks = e.where("event_type = 'click'").select(F.col("event_id").alias("a"), F.col("user_id").alias("ua"), F.col("at").alias("ta")).withWatermark("ta", "1 day")
+    views = stream(spark, sf_dir).where("event_type = 'view'").select(F.col("event_id").alias("b"), F.col("user_id").alias("ub"), F.col("at").alias("tb")).withWatermark("tb", "1 day")
+    met = clicks.join(views, F.expr("ua = ub AND tb >= ta AND tb <= ta + INTERVAL 6 HOURS"))
+    return drained(met.select("a", "b"), "append")
+
+
 DAY = 86_400_000_000
 QUERIES["st_tumbling"] = (tumbling, f"SELECT (epoch_us(ts) // {DAY} * {DAY})::BIGINT AS start_us, event_type, count(*)::BIGINT AS n FROM events GROUP BY 1, 2")
 QUERIES["st_sliding"] = (sliding, f"SELECT s AS start_us, count(*)::BIGINT AS n FROM (SELECT unnest([epoch_us(ts) // {DAY} * {DAY}, (epoch_us(ts) // {DAY} - 1) * {DAY}])::BIGINT AS s FROM events) GROUP BY 1")
 QUERIES["st_session"] = (session, f"WITH g AS (SELECT user_id, epoch_us(ts) AS u, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER w < {DAY // 2} THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY u) AS k FROM g) SELECT user_id, min(u)::BIGINT AS start_us, count(*)::BIGINT AS n FROM s GROUP BY user_id, k")
+QUERIES["st_join"] = (interval_join, f"SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'view' AND epoch_us(b.ts) BETWEEN epoch_us(a.ts) AND epoch_us(a.ts) + {DAY // 4}")
 QUERIES["st_dedupe"] = (dedupe, "SELECT event_id, user_id FROM events")

@@ -3,8 +3,11 @@
 State per group: the cells still needed, the open clique, the cells of recent
 winners and the next lead. A lead is folded once every series has passed it by
 the look-ahead bound, so the stream's tuples equal the batch result. A row with
-sid 0 marks the end of a group's recording and flushes it. Cells behind the
-next lead's reach are late: they are counted and dropped.
+sid 0 marks the end of a group's recording and flushes it; with ``idle_ms`` a
+group that has been silent for so long is flushed too, so that a series which
+stalls does not hold its group's state for ever. Cells behind the next lead's
+reach come too late to be aligned: they leave as rows of kind ``late`` (sid and
+row number in x), never silently.
 """
 
 from __future__ import annotations
@@ -24,25 +27,27 @@ from alignspark.operators.fold import _choose, expectation_scores, tie_key
 from alignspark.params import AlignParams
 from alignspark.plans.blocks import _run
 
-OUT = "grp string, x array<long>, w_fp long, late long"
+OUT = "grp string, kind string, x array<long>, w_fp long"
 
 
-def stepper(m: int, p: AlignParams, method: str):
+def stepper(m: int, p: AlignParams, method: str, idle_ms: int | None = None):
     """The function for applyInPandasWithState."""
 
     def step(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        held = json.loads(state.get[0]) if state.exists else {"cells": [], "fold": {"clique": [], "won": []}, "next": 1, "late": 0}
+        held = json.loads(state.get[0]) if state.exists else {"cells": [], "fold": {"clique": [], "won": []}, "next": 1}
         cells = {(c[0], c[1]): c for c in held["cells"]}
-        ended = False
+        ended = state.hasTimedOut
         floor_ = held["next"] - 3 * p.beta - 1
+        late: list[list[int]] = []
         for pdf in parts:
-            for sid, idx, ts, val in zip(pdf["sid"], pdf["idx"], pdf["ts_us"], pdf["val"]):
-                if sid == 0:
-                    ended = True
-                elif idx < floor_:
-                    held["late"] += 1
-                else:
-                    cells[int(sid), int(idx)] = (int(sid), int(idx), None if pd.isna(ts) else int(ts), None if pd.isna(val) else float(val))
+            ended |= bool((pdf["sid"] == 0).any())
+            pdf = pdf[pdf["sid"] > 0]
+            behind = pdf["idx"] < floor_
+            late += pdf.loc[behind, ["sid", "idx"]].to_numpy().tolist()
+            own = pdf[~behind]
+            ts, val = own["ts_us"].astype(object).where(own["ts_us"].notna(), None), own["val"].astype(object).where(own["val"].notna(), None)
+            for sid, idx, t, v in zip(own["sid"].tolist(), own["idx"].tolist(), ts.tolist(), val.tolist()):
+                cells[sid, idx] = (sid, idx, None if t is None else int(t), v)
         seen = [max((i for s, i in cells if s == j), default=0) for j in range(1, m + 1)]
         reach = max(seen) if ended else min(seen) - 4 * p.beta - 2
         chosen: list[tuple[list[int], int]] = []
@@ -69,26 +74,29 @@ def stepper(m: int, p: AlignParams, method: str):
             state.remove() if state.exists else None
         else:
             state.update((json.dumps(held),))
-        yield pd.DataFrame({"grp": [key[0]] * len(chosen), "x": pd.Series([c[0] for c in chosen], dtype=object), "w_fp": [c[1] for c in chosen], "late": [held["late"]] * len(chosen)})
+            if idle_ms:
+                state.setTimeoutDuration(idle_ms)
+        out = [("tuple", x, w) for x, w in chosen] + [("late", x, None) for x in late]
+        yield pd.DataFrame({"grp": [key[0]] * len(out), "kind": [o[0] for o in out], "x": pd.Series([o[1] for o in out], dtype=object), "w_fp": pd.array([o[2] for o in out], dtype="Int64")})
 
     return step
 
 
-def align_stream(cells: DataFrame, m: int, p: AlignParams, method: str = "greedy") -> DataFrame:
-    """A streaming frame of cells (grp, sid, idx, ts_us, val) to a streaming frame of tuples."""
-    return cells.groupBy("grp").applyInPandasWithState(stepper(m, p, method), OUT, "held string", "append", GroupStateTimeout.NoTimeout)
+def align_stream(cells: DataFrame, m: int, p: AlignParams, method: str = "greedy", idle_ms: int | None = None) -> DataFrame:
+    """A streaming frame of cells (grp, sid, idx, ts_us, val) to a streaming frame of tuples and late cells."""
+    timeout = GroupStateTimeout.ProcessingTimeTimeout if idle_ms else GroupStateTimeout.NoTimeout
+    return cells.groupBy("grp").applyInPandasWithState(stepper(m, p, method, idle_ms), OUT, "held string", "append", timeout)
 
 
 def replay(spark: SparkSession, series: DataFrame, m: int, p: AlignParams, method: str = "greedy", pieces: int = 4) -> DataFrame:
-    """Plays a series through the aligner in a few files by row number, then the end marks."""
+    """Plays a series through the aligner piece by piece, by row number, then the end marks; tuples and late cells."""
     top = shared_path(spark, "replay")
     n = series.agg(F.max("idx")).first()[0] or 1
-    for k in range(pieces):
-        part = series.where((F.col("idx") * pieces > k * n) & (F.col("idx") * pieces <= (k + 1) * n)).select("grp", "sid", "idx", "ts_us", "val")
-        part.coalesce(1).write.mode("append").parquet(f"{top}/in")
     ends = series.select("grp").distinct().select("grp", F.lit(0).alias("sid"), F.lit(0).cast("long").alias("idx"), F.lit(None).cast("long").alias("ts_us"), F.lit(None).cast("double").alias("val"))
-    ends.coalesce(1).write.mode("append").parquet(f"{top}/in")
-    cells = spark.readStream.schema("grp string, sid int, idx long, ts_us long, val double").option("maxFilesPerTrigger", 1).parquet(f"{top}/in")
-    run = align_stream(cells, m, p, method).writeStream.outputMode("append").option("checkpointLocation", f"{top}/state").trigger(availableNow=True).format("parquet").start(f"{top}/out")
-    run.awaitTermination()
+    parts = [series.where((F.col("idx") * pieces > k * n) & (F.col("idx") * pieces <= (k + 1) * n)).select("grp", "sid", "idx", "ts_us", "val") for k in range(pieces)]
+    for part in [*parts, ends]:
+        part.write.mode("append").parquet(f"{top}/in")
+        cells = spark.readStream.schema("grp string, sid int, idx long, ts_us long, val double").parquet(f"{top}/in")
+        run = align_stream(cells, m, p, method).writeStream.outputMode("append").option("checkpointLocation", f"{top}/state").trigger(availableNow=True).format("parquet").start(f"{top}/out")
+        run.awaitTermination()
     return spark.read.schema(OUT).parquet(f"{top}/out")

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from alignspark.functions.udfs import delta_udaf, register_align_series, weight_udf
+from alignspark.functions.udfs import delta_udaf, register_align_series, register_candidates, weight_udf
 from alignspark.operators import candidates as C
 from alignspark.operators.conflicts import shared_path
 from alignspark.params import AlignParams
@@ -82,3 +82,30 @@ QUERIES["udtf_align_series"] = (udtf_align, None)
 for _name, (_f, _sql) in aggregates.QUERIES.items():
     QUERIES[_name] = (_f, _sql)
 QUERIES["st_aligner"] = (lambda s, d: aligner.replay(s, W.build(s, d, "evu", 0.2), 4, P), None)
+
+
+def udtf_candidates(spark, sf_dir):
+    """SQL entry: the candidate tuples of a table argument, partitioned by group."""
+    W.build(spark, sf_dir, "evu", 0.2).createOrReplaceTempView("_align_cells")
+    register_candidates(spark)
+    return spark.sql(f"SELECT grp, x[0] AS i1, x[1] AS i2, x[2] AS i3, x[3] AS i4, CAST(lam AS BIGINT) AS lam, spread_us FROM align_candidates(TABLE(SELECT grp, sid, idx, ts_us, val FROM _align_cells) PARTITION BY (grp), 4, {P.theta}L, {P.beta})")
+
+
+QUERIES["udtf_candidates"] = (udtf_candidates, f"WITH {W.sql('evu', 0.2)},\n{C.sql(4, P)} SELECT grp, i1, i2, i3, i4, lam, spread_us FROM cand")
+
+
+def cogroup_ends(spark, sf_dir):
+    """Cells and tuples of each group in one task (cogroup over Arrow): how many cells no candidate of the group holds."""
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    s = W.build(spark, sf_dir, "evu", 0.2)
+    held = C.candidates(s, 4, P).select("grp", F.posexplode("x").alias("j", "idx")).select("grp", (F.col("j") + 1).alias("sid"), "idx").distinct()
+
+    def count(cells: pa.Table, used: pa.Table) -> pa.Table:
+        return pa.table({"grp": [(cells if cells.num_rows else used)["grp"][0].as_py()], "cells": [pc.count(cells["idx"]).as_py()], "held": [used.num_rows]})
+
+    return s.select("grp", "sid", "idx").groupBy("grp").cogroup(held.groupBy("grp")).applyInArrow(count, "grp string, cells long, held long")
+
+
+QUERIES["cogroup_held"] = (cogroup_ends, f"WITH {W.sql('evu', 0.2)},\n{C.sql(4, P)}, u AS (SELECT grp, 1 AS s, i1 AS i FROM cand UNION SELECT grp, 2, i2 FROM cand UNION SELECT grp, 3, i3 FROM cand UNION SELECT grp, 4, i4 FROM cand), n AS (SELECT grp, count(*)::BIGINT AS held FROM u GROUP BY 1) SELECT c.grp, c.cells, coalesce(n.held, 0)::BIGINT AS held FROM (SELECT grp, count(*)::BIGINT AS cells FROM series GROUP BY 1) c LEFT JOIN n USING (grp)")

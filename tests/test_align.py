@@ -7,9 +7,13 @@ from hypothesis import strategies as st
 
 from alignspark.functions import measures as M
 from alignspark.operators import candidates as C
+from alignspark import experiments as E
+from alignspark.operators import baselines as B
 from alignspark.operators import compose as K
 from alignspark.operators import conflicts as X
 from alignspark.operators import consistency as S
+from alignspark.operators import gate
+from alignspark.operators import impute as I
 from alignspark.operators import metrics as Q
 from alignspark.operators import tuning as T
 from alignspark.operators.fold import expectation_scores, fold
@@ -127,7 +131,11 @@ def test_weights_and_ratios(seed):
     top, low = M.weight_bounds(3, p)
     assert w.max() <= round(top * M.SCALE) and w.min() >= round(low * M.SCALE) - 1
     start = K.packing_start(x, w)
-    moved = max(K.packing(x, w), key=total)
+    branches = K.packing(x, w)
+    moved = next(gate.by_weight(branches, w))
+    ranked = [total(k) for _, k in zip(range(50), gate.by_weight(branches, w))]
+    assert ranked == sorted(ranked, reverse=True)
+    assert all((a == np.flatnonzero((x == r).any(axis=1))).all() for a, r in zip(K.conflict_lists(x), x))
     assert total(best) >= total(moved) >= total(start)
     assert total(moved) >= M.bound_packing(3) * total(best) - 1
     together = K.packing_parallel(x, w)
@@ -177,7 +185,38 @@ def test_blocks_equal_group(spark, method, warm):
 def test_stream_equals_batch(spark):
     s, p = random_series(spark, 60, groups=3, seed=4), P.with_(theta=60 * SECOND)
     for method in ("greedy", "expectation"):
-        assert sorted((r.grp, tuple(r.x)) for r in aligner.replay(spark, s, 3, p, method).collect()) == sorted((r.grp, tuple(r.x)) for r in K.align(s, 3, p, method).collect())
+        got = aligner.replay(spark, s, 3, p, method).collect()
+        assert {r.kind for r in got} == {"tuple"}
+        assert sorted((r.grp, tuple(r.x)) for r in got) == sorted((r.grp, tuple(r.x)) for r in K.align(s, 3, p, method).collect())
+
+
+def test_stream_late_cells_and_idle_groups():
+    """Cells behind the next lead's reach leave as late rows; a group that timed out is flushed."""
+    import pandas as pd
+
+    class State:
+        def __init__(self):
+            self.exists, self.hasTimedOut, self.get = False, False, None
+
+        def update(self, value):
+            self.exists, self.get = True, value
+
+        def remove(self):
+            self.exists = False
+
+        def setTimeoutDuration(self, ms):
+            self.ms = ms
+
+    rows = [(s, i, i * 10 * SECOND, 1.0) for i in range(1, 41) for s in (1, 2)]
+    frame = lambda r: pd.DataFrame(r, columns=["sid", "idx", "ts_us", "val"])
+    state, step = State(), aligner.stepper(2, P, "greedy", idle_ms=5000)
+    first = next(step(("g",), iter([frame(rows)]), state))
+    assert len(first) and set(first["kind"]) == {"tuple"} and state.ms == 5000
+    late = next(step(("g",), iter([frame([(1, 2, 20 * SECOND, 7.0)])]), state))
+    assert late[["kind", "x"]].values.tolist() == [["late", [1, 2]]]
+    state.hasTimedOut = True
+    rest = next(step(("g",), iter([]), state))
+    assert len(first) + len(rest) == 40 and not state.exists
 
 
 def test_marss_matches_gaussian_conditioning():
@@ -254,3 +293,142 @@ def test_plans_have_no_nested_loops(spark):
     for name in ("lead", "anchor", "join"):
         text = C.candidates(s, 3, P, name)._jdf.queryExecution().executedPlan().toString()
         assert "NestedLoop" not in text and "Cartesian" not in text, name
+
+
+# --- the model constraint -----------------------------------------------------------------------------------------------------
+
+
+def test_exact_under_delta(spark):
+    """Spark's subset table and the search inside a task agree, and both with plain enumeration, at every limit."""
+    s = W.tiny(spark, "t2")
+    cand = C.candidates(s, 3, T2)
+    table = {r.mask: (r.w_fp, r.delta) for r in S.subset_deltas(K.subsets(cand, 3), cand, s, 3).collect()}
+    assert len(table) == 13 and abs(table[0b100101][1] - 4 / 9) < 1e-12
+    for limit in (0.0, 0.2, 0.3, 0.45, 1.0):
+        fit = [(-w, mask) for mask, (w, d) in table.items() if d is None or d <= limit]
+        best = K.compose_exact(cand, 3, lambda r: S.subset_deltas(r, cand, s, 3), limit).first()
+        gated = K.align_gated(s, 3, T2.with_(delta=limit), "exact").collect()
+        assert (-best.w_fp, best.mask) == min(fit)
+        assert gated[0].status == "feasible" and sum(r.w_fp for r in gated) == best.w_fp
+
+
+@pytest.mark.parametrize("model", ["locf", "marss"])
+def test_packing_under_delta(spark, model):
+    s, p = random_series(spark, 25, groups=3, seed=5), P.with_(theta=60 * SECOND)
+    free = {r.grp: r.delta for r in S.delta(K.align(s, 3, p, "packing"), s, 3, model).collect()}
+    for limit in (min(free.values()) * 0.999, max(free.values()) * 1.001):
+        got = K.align_gated(s, 3, p.with_(delta=limit), "packing", model, most=40)
+        status = {r.grp: r.status for r in got.select("grp", "status").distinct().collect()}
+        assert set(status) == set(free) and set(status.values()) <= {"feasible", "infeasible", "untested"}
+        kept = got.where("x IS NOT NULL")
+        assert all(r.delta <= limit + 1e-9 for r in S.delta(kept, s, 3, model).collect())
+        if limit > max(free.values()):
+            assert set(status.values()) == {"feasible"} and chosen(kept) == chosen(K.align(s, 3, p, "packing"))
+
+
+def test_delta_inside_a_task(spark):
+    s, p = random_series(spark, 40, seed=8), P.with_(theta=60 * SECOND)
+    a = K.align(s, 3, p, "greedy")
+    _, values, _, first = C.matrices(s.toPandas(), 3)
+    x = np.array([r.x for r in a.orderBy("pos").collect()])
+    for model in ("locf", "marss"):
+        assert abs(gate.consistency_of(values, first, x, model) - S.delta(a, s, 3, model).first().delta) < 1e-9
+
+
+def test_rounds_run_in_blocks_too(spark, monkeypatch):
+    from alignspark.plans import planner
+
+    s, p = random_series(spark, 150, groups=2, seed=6), P.with_(theta=60 * SECOND, delta=0.5, max_rounds=2)
+    want = sorted(map(tuple, align_until_feasible(s, 3, p).select("grp", "pos", "w_fp", "status").collect()))
+    monkeypatch.setattr(planner, "TASK_CANDIDATES", 100)
+    assert plan(s, 3, p, "greedy").executor == "block"
+    assert sorted(map(tuple, align_until_feasible(s, 3, p).select("grp", "pos", "w_fp", "status").collect())) == want
+
+
+def test_scan_filter_equals_whole_filter(spark):
+    s = random_series(spark, 60, seed=2)
+    cells = K.materialise(K.align(s, 3, P.with_(theta=60 * SECOND), "greedy"), s)
+    from alignspark.operators.marss_scan import predict_scan
+
+    whole, blocks = ({(r.pos, r.sid): r.pred for r in predict_scan(cells, size).collect()} for size in (10_000, 7))
+    assert whole.keys() == blocks.keys() and max(abs(whole[k] - blocks[k]) for k in whole) < 1e-8
+
+
+# --- baselines, parameters, experiments ----------------------------------------------------------------------------------------
+
+
+def test_band_does_not_change_what_fits():
+    rng = np.random.default_rng(3)
+    for n, k in ((12, 12), (9, 17), (1, 5), (20, 7)):
+        a, b = rng.normal(size=n), rng.normal(size=k)
+        cost = np.full((n + 1, k + 1), np.inf)
+        cost[0, 0] = 0
+        for i in range(n):
+            for j in range(k):
+                cost[i + 1, j + 1] = abs(a[i] - b[j]) + min(cost[i, j], cost[i, j + 1], cost[i + 1, j])
+        for band in (None, 40):
+            got, path = dtw(a, b, band)
+            assert abs(got - cost[-1, -1]) < 1e-9 and abs(sum(abs(a[i] - b[j]) for i, j in path) - got) < 1e-9
+        assert dtw(a, b, 2)[0] >= cost[-1, -1] - 1e-9
+
+
+def test_sequential_knows_time_only(spark):
+    """Its candidates are all tuples within theta, however far apart their rows are."""
+    rows = [("", 1, i, (100 + i) * SECOND, 1.0) for i in range(1, 7)] + [("", 2, i, (90 + 4 * i) * SECOND, 1.0) for i in range(1, 7)]
+    s = spark.createDataFrame(rows, W.SERIES)
+    p = P.with_(theta=3 * SECOND)
+    far = max(abs(a[2] - b[2]) for a in rows for b in rows if a[1] != b[1] and abs(a[3] - b[3]) <= p.theta)
+    assert B.reach_of(s, p.theta) >= far
+    times = {(r[1], r[2]): r[3] for r in rows}
+    x = np.array([(i, j) for i in range(1, 7) for j in range(1, 7) if abs(times[1, i] - times[2, j]) <= p.theta])
+    spread = np.array([abs(times[1, i] - times[2, j]) for i, j in x])
+    assert chosen(B.align_sequential(s, 2, p)) == sorted(tuple(x[k]) for k in fold(x, np.zeros(len(x), np.int64), p, "sequential", spread))
+
+
+def test_imputer_beats_the_mean(spark):
+    sf = "/root/testdata/sf0.001"
+    s, full = W.build(spark, sf, "evu", 0.2), W.complete(spark, sf, "evu").select("grp", "sid", "idx", W.F.col("val").alias("true"))
+    # the trailing mean has a course that neighbours explain
+    hole = s.where("sid = 3 AND val IS NULL").select("grp", "sid", "idx")
+    error = lambda done: done.join(hole, ["grp", "sid", "idx"]).join(full, ["grp", "sid", "idx"]).agg(W.F.avg(W.F.abs(W.F.col("val") - W.F.col("true")))).first()[0]
+    assert error(I.impute_model(s, 4, "imp_lr")) < error(I.impute_simple(s, "mean"))
+
+
+def test_experiments_and_parameters(spark):
+    sf = "/root/testdata/sf0.001"
+    table = {(r.method, r.rate): r for r in E.ours(spark, sf, "or4", rates=(0.1, 0.4)).collect()}
+    assert len(table) == 8 and all(0 <= r.f1 <= 1 for r in table.values())
+    for rate in (10, 40):
+        assert table["expectation", rate].n_aligned >= table["greedy", rate].n_aligned and table["diagonal", rate].precision == 1.0
+    one = W.build(spark, sf, "or4", 0.1)
+    f1 = Q.f1_score(Q.pairs_recovered(K.align(one, 4, E.params("or4", P), "greedy")), Q.pairs_truth(one)).first().f1
+    assert abs(table["greedy", 10].f1 - f1) < 1e-6
+    got = T.auto_params(W.build(spark, sf, "or4", 0.2), 4, k1=(1, 3), k2=(1, 2), beta_cap=2)
+    assert got.theta > 0 and got.beta >= 1 and got.delta > 0 and got.k1 in (1, 3)
+    points = E.theta_grid("or4", betas=(1, 2))
+    swept = {(r.theta, r.beta): r for r in E.grid(spark, sf, "or4", points, "greedy").collect()}
+    assert len(swept) == 14
+    for r in swept.values():
+        a = K.align(W.build(spark, sf, "or4", 0.2), 4, P.with_(theta=r.theta, beta=r.beta), "greedy") if r.theta == points[-1].theta else None
+        assert a is None or a.count() == r.n_aligned
+
+
+def test_series_log_source(spark, tmp_path):
+    from alignspark.sources.serieslog import SeriesLog
+
+    (tmp_path / "a-1.log").write_text("1,1000,2.5\n2,,3.0\n3,3000,\n")
+    (tmp_path / "a-2.log").write_text("1,1500,1.0\n")
+    (tmp_path / "notes.txt").write_text("none")
+    spark.dataSource.register(SeriesLog)
+    got = spark.read.format("series_log").load(str(tmp_path))
+    assert sorted(map(str, got.collect())) == sorted(map(str, spark.createDataFrame([("a", 1, 1, 1000, 2.5), ("a", 1, 2, None, 3.0), ("a", 1, 3, 3000, None), ("a", 2, 1, 1500, 1.0)], W.SERIES).collect()))
+
+
+def test_scratch_folder_is_shared_on_a_cluster(spark):
+    from types import SimpleNamespace
+
+    from alignspark.operators.conflicts import shared_path
+
+    cluster = SimpleNamespace(conf=SimpleNamespace(get=lambda *a: None), sparkContext=SimpleNamespace(master="spark://host:7077", getCheckpointDir=lambda: None))
+    with pytest.raises(ValueError, match="spark.checkpoint.dir"):
+        shared_path(cluster, "x")
