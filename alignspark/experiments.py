@@ -13,6 +13,7 @@ from alignspark.operators import baselines as B
 from alignspark.operators import compose as K
 from alignspark.operators import impute as I
 from alignspark.operators import tuning as T
+from alignspark.operators.conflicts import settled
 from alignspark.params import AlignParams
 from alignspark.sources import workloads as W
 
@@ -75,7 +76,7 @@ def warped(spark: SparkSession, sf_dir: str, name: str, rates=(0.2,), imputers=I
     rows = true_rows(_rate(s), "rate")
     out = None
     for imputer in imputers:
-        full = I.complete_for(s, m, imputer)
+        full = settled(I.complete_for(s, m, imputer), "filled")
         for method in B.WARPS:
             part = scored(_rate(B.warp(full, m, method)), rows, m, "rate").withColumns({"method": F.lit(method), "imputer": F.lit(imputer)})
             out = part if out is None else out.unionByName(part)

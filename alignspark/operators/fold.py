@@ -62,13 +62,19 @@ def expectation_scores(x: np.ndarray, w: np.ndarray, members: list[int], p: Alig
     if live is not None:
         zone = zone[live[start:stop]]
     g = np.array(members)
-    meets = (x[zone][None, :, :] == x[g][:, None, :]).any(axis=2)  # members x zone
+    later = x[start:stop] if live is None else x[zone]
+    meets = np.zeros((len(g), len(zone)), dtype=bool)  # members x zone
+    for j in range(x.shape[1]):
+        meets |= x[g, j][:, None] == later[:, j][None, :]
     some = meets.any(axis=0)
     gain = ~meets & some[None, :] & (zone[None, :] > g[:, None])
     if counters is not None:
         counters.looked_ahead += int(some.sum())
     if p.expect_mode == "sum":
-        return w[g] + gain @ w[zone]
+        weight = w[zone]
+        if int(weight.sum()) < 1 << 53:  # whole numbers that floats hold exactly, in any order of addition
+            return w[g] + (gain.astype(float) @ weight.astype(float)).astype(np.int64)
+        return w[g] + gain @ weight
     out = np.zeros(len(g), dtype=np.int64)
     for k in range(len(g)):  # heaviest first, without conflicts among themselves
         own = zone[gain[k]]
@@ -80,6 +86,13 @@ def expectation_scores(x: np.ndarray, w: np.ndarray, members: list[int], p: Alig
     return w[g] + out
 
 
+def _holders(column: np.ndarray) -> dict[int, np.ndarray]:
+    """For every row number the candidates that hold it."""
+    order = np.argsort(column, kind="stable")
+    held = np.split(order, np.flatnonzero(np.diff(column[order])) + 1) if len(column) else []
+    return {int(column[h[0]]): h for h in held}
+
+
 def fold(x: np.ndarray, w: np.ndarray, p: AlignParams, method: str, spread: np.ndarray | None = None, taken: list[dict] | None = None, counters: Counters | None = None) -> list[int]:
     """Numbers of the candidates chosen. ``taken``: per series the rows that earlier winners hold."""
     m = x.shape[1] if len(x) else 0
@@ -90,6 +103,14 @@ def fold(x: np.ndarray, w: np.ndarray, p: AlignParams, method: str, spread: np.n
     rows = x.tolist()
     chosen: list[int] = []
     clique: list[int] = []
+    # candidates that share a cell with a winner, marked through an index of cells
+    blocked = bytearray(len(x))
+    marks = np.frombuffer(blocked, dtype=np.uint8) if len(x) else np.zeros(0, np.uint8)
+    held_by = [_holders(x[:, j]) for j in range(m)]
+    for own, index in zip(used, held_by):
+        for v in own:
+            if v in index:
+                marks[index[v]] = 1
     live = np.ones(len(x), dtype=bool) if p.expect_live_only and method == "expectation" else None
 
     def emit() -> list[int]:
@@ -106,12 +127,13 @@ def fold(x: np.ndarray, w: np.ndarray, p: AlignParams, method: str, spread: np.n
         chosen.append(best)
         for j, v in enumerate(rows[best]):
             used[j].add(v)
+            marks[held_by[j][v]] = 1
         if live is not None:
             live[(x == x[best]).any(axis=1)] = False
         return rows[best]
 
     for k, r in enumerate(rows):
-        if any(v in u for v, u in zip(r, used)):
+        if blocked[k]:
             continue
         joins = True
         for g in clique:

@@ -11,6 +11,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from alignspark.operators.conflicts import settled
 from alignspark.operators.marss import Marss
 
 
@@ -73,6 +74,7 @@ def impute_model(series: DataFrame, m: int, kind: str = "imp_lr", lags: int = 2)
     from pyspark.ml.regression import GBTRegressor, LinearRegression
 
     data, names = _features(series, m, lags)
+    data = settled(data, "features")  # every series' learner reads them again and again
     data = VectorAssembler(inputCols=names, outputCol="features").transform(data)
     out = None
     for j in range(1, m + 1):

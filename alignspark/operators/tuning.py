@@ -41,26 +41,31 @@ def fit_beta(series: DataFrame, m: int, p: AlignParams, beta_lo: int = 0, beta_c
     return max(beta_lo + 1, math.ceil(got or 0))
 
 
-def compose_grid(series: DataFrame, m: int, grid: list[AlignParams], method: str = "greedy", share: int = 6) -> DataFrame:
+def compose_grid(series: DataFrame, m: int, grid: list[AlignParams], method: str = "greedy", share: int | None = None) -> DataFrame:
     """ALIGN rows with ``point``, the number of a grid point, from one job.
 
-    Points of one theta and beta share a candidate set, ``share`` of them in a task: a grid over one long series runs
-    in many tasks, and a grid of weights makes few candidate sets.
+    A task makes a group's candidates once, for the loosest theta and beta of its ``share`` of the points, and every
+    point filters and weighs them. Unless it is given, the share is the largest that still gives every core some tasks:
+    all points for many groups, few for one long series.
     """
-    alike: dict[tuple, list[int]] = {}
-    for number, g in enumerate(grid):
-        alike.setdefault((g.theta, g.beta), []).append(number)
-    tasks = [numbers[k : k + share] for numbers in alike.values() for k in range(0, len(numbers), share)]
+    spark = series.sparkSession
+    if share is None:
+        groups = max(1, series.select("grp").distinct().count())
+        share = -(-len(grid) // max(1, -(-4 * spark.sparkContext.defaultParallelism // groups)))
+    order = sorted(range(len(grid)), key=lambda k: (grid[k].beta, grid[k].theta, k))
+    tasks = [order[k : k + max(1, share)] for k in range(0, len(order), max(1, share))]
 
     def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
-        numbers = tasks[int(key[1])]
-        loosest = grid[numbers[0]]
-        times, _, has, first = C.matrices(pdf, m, loosest.lam_mode == "cell")
-        x, lam, spread = C.expand_block(times, has, m, loosest.theta, loosest.beta, first, first + len(times) - 1, first, loosest.cap)
+        points = [(number, grid[number]) for number in tasks[int(key[1])]]
+        theta, beta, any_ = max(g.theta for _, g in points), max(g.beta for _, g in points), points[0][1]
+        times, _, has, first = C.matrices(pdf, m, any_.lam_mode == "cell")
+        x, lam, spread = C.expand_block(times, has, m, theta, beta, first, first + len(times) - 1, first, any_.cap)
+        phi = x.max(axis=1) - x.min(axis=1) if len(x) else spread
         parts = []
-        for number in numbers:
-            _, w, w_fp = C.numpy_weights(x, lam, grid[number])
-            part = _result(key[0], x, lam, w, w_fp, solve(x, w_fp, grid[number], method, spread))
+        for number, g in points:
+            keep = (spread <= g.theta) & (phi <= g.beta)
+            _, w, w_fp = C.numpy_weights(x[keep], lam[keep], g)
+            part = _result(key[0], x[keep], lam[keep], w, w_fp, solve(x[keep], w_fp, g, method, spread[keep]))
             part.insert(0, "point", number)
             parts.append(part)
         return pd.concat(parts, ignore_index=True)
