@@ -230,10 +230,10 @@ def fold_sql(method: str, p: AlignParams = P, name: str = "evu", rate: float = R
     elif method == "sequential":
         winner = "list_filter(g, lambda e: e.s = list_min(list_transform(g, lambda z: z.s)))[1].k"
     else:
+        # the neighbours of the whole clique are listed once a flush; the highest score wins, the earliest candidate on ties
         zone = "list_distinct(flatten(list_transform(g, lambda z: z.c)))"
-        score = f"(e.w + coalesce(list_sum(list_transform(list_filter({zone}, lambda r: r > e.k AND NOT list_contains(e.c, r)), lambda r: ws[r])), 0))"
-        scored = f"list_transform(g, lambda e: {{k: e.k, v: {score}}})"
-        winner = f"list_filter({scored}, lambda e: e.v = list_max(list_transform({scored}, lambda z: z.v)))[1].k"
+        score = "e.w + coalesce(list_sum(list_transform(list_filter(q.zone, lambda r: r > e.k AND NOT list_contains(e.c, r)), lambda r: q.ws[r])), 0)"
+        winner = f"list_transform([{{zone: {zone}, g: g, ws: ws}}], lambda q: -list_max(list_transform(q.g, lambda e: {{v: {score}, nk: -e.k}})).nk)[1]"
     after = "[]" if literal else "CASE WHEN list_contains(me.c, best) THEN [] ELSE [me] END"
     xs_ = order.replace(" ", "")
     # runs of leads that no candidate straddles fold by themselves: they are groups of their own, which makes the recursion short
@@ -252,7 +252,7 @@ f(grp, i, g, won) AS (
   UNION ALL
   SELECT grp, i + 1, CASE WHEN blocked THEN g WHEN joins THEN list_append(g, me) ELSE {after} END, CASE WHEN blocked OR joins THEN won ELSE list_append(won, best) END
   FROM (SELECT f.grp, f.i, f.g, f.won, cc.me, list_has_any(f.won, cc.me.c) AS blocked,
-          len(list_filter(f.g, lambda e: NOT list_contains(cc.me.c, e.k))) = 0 AS joins, CASE WHEN len(f.g) > 0 THEN {winner} END AS best
+          len(list_filter(f.g, lambda e: NOT list_contains(cc.me.c, e.k))) = 0 AS joins, CASE WHEN NOT blocked AND NOT joins THEN {winner} END AS best
         FROM f JOIN cc ON cc.grp = f.grp AND cc.k = f.i + 1 JOIN wl ON wl.grp = f.grp)),
 last AS (SELECT f.grp, {'won' if literal else f'CASE WHEN len(g) > 0 THEN list_append(won, {winner}) ELSE won END'} AS won FROM f JOIN wl ON wl.grp = f.grp AND f.i = wl.n),
 chosen AS (SELECT grp, unnest(won) AS k FROM last),
