@@ -9,7 +9,7 @@ sets are one class. Two classes link when 100 * |A n B| >= 80 * |A u B|.
    pairs are compared by one product of the token-incidence matrix; the links
    give first components: the groups. A class without a link is a group of one.
 2. Token-group matrix: of each class the first tokens, in an order that puts
-   tokens of a frequent sample last, count: |A| - ceil(0.8 |A|) + L of them, so
+   tokens of many classes last (counted over all of them), count: |A| - ceil(0.8 |A|) + L of them, so
    that linked classes share L of them (fewer only when a class has fewer). A group stores their
    union over its members, one entry for each token, with its range of set sizes
    and a ball in the space of parity bitmaps (its root's bitmap and the largest
@@ -50,8 +50,8 @@ WORDS, SHARE = 5, 80
 #: Classes in a chunk and query classes that meet it in a task; matrix tokens that linked classes share; token
 #: orders, each of which groups all classes.
 CHUNK, ASKERS, OVERLAP, ORDERS = 64, 128, 3, 2
-#: Classes sampled for the token order, how many of them make a token frequent, most tokens in the order's list.
-ORDER_SAMPLE, FREQUENT, LISTED = 50_000, 3, 1 << 20
+#: How many classes make a token frequent, most tokens in the order's list; tokens that a task counts at a time.
+FREQUENT, LISTED, COUNTED = 3, 1 << 20, 1_000_000
 #: Classes that make a token hot, most tokens in the list of hot ones; bytes of entries in a bucket.
 HOT, HOT_LISTED, BUCKET_BYTES = 4096, 1 << 20, 16 << 20
 #: Bits of a set's parity bitmap.
@@ -275,44 +275,66 @@ def _query_links(share: int):
 # --- the join --------------------------------------------------------------------------------------------------------
 
 
-def frequent_tokens(docs: DataFrame, classes: DataFrame, words: int) -> tuple[np.ndarray, np.ndarray]:
-    """Tokens that several classes of a bounded sample hold, sorted, and how many do; they only come last in an order."""
-    share = min(1.0, ORDER_SAMPLE / max(1, classes.count()))
-    chosen = classes.where(F.pmod(F.xxhash64("cls", F.lit(17)), F.lit(1_000_000)) < int(share * 1_000_000)).select("id")
-    # one text for each sampled class, however many rows repeat it
-    sample = docs.select(_speaker(F.col("doc_id"), F.col("text")).alias("id"), "text").join(F.broadcast(chosen), "id", "left_semi").dropDuplicates(["id"])
+def frequent_tokens(docs: DataFrame, classes: DataFrame, words: int, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Tokens that ``FREQUENT`` or more of all classes hold, sorted, and how many do; they only come last in an order.
+
+    Every class counts once in a task: of its texts those speak whose id passes a filter of the classes' ids, so that
+    hardly any other is counted. Above ``LISTED`` the commonest are listed. Tokens travel in ``n`` buckets.
+    """
+    bits = IdFilter.bits(classes.count())
+    held = docs.sparkSession.sparkContext.broadcast(IdFilter.of(classes, "id", bits).words)
 
     def count(parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[np.ndarray] = []
+        seen: set[int] = set()
+        waiting: list[np.ndarray] = []
 
-        def counted():
-            keys, n = np.unique(np.concatenate(held), return_counts=True)
-            often = n > 1
-            return pa.RecordBatch.from_arrays([pa.array(keys[often].view(np.int64)), pa.array(n[often])], names=["t", "n"])
+        def flush() -> pa.RecordBatch:
+            keys, times = np.unique(np.concatenate(waiting), return_counts=True)
+            out = list(deal((keys % U(n)).astype(np.int64), [keys, times.astype(np.uint32)]))
+            return pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int32()), pa.array([o[1] for o in out], pa.binary())], names=["bucket", "blob"])
 
         for batch in parts:
+            if not batch.num_rows:
+                continue
+            at = np.array(batch.column(2).flatten()).reshape(batch.num_rows, -1)
+            batch = batch.filter(pa.array(passes(held.value, at)))
             for texts in batches(batch):
-                held.append(token_sets(texts, words)[0])
-                if sum(map(len, held)) > 2_000_000:
-                    yield counted()
-                    held = []
-        if held:
-            yield counted()
+                keys, off = token_sets(texts, words)
+                fresh = np.array([not (c in seen or seen.add(c)) for c in class_of(keys, off).tolist()], dtype=bool)
+                waiting.append(keys[np.repeat(fresh, np.diff(off))])
+                if sum(map(len, waiting)) > COUNTED:
+                    yield flush()
+                    waiting = []
+        if waiting:
+            yield flush()
         tidy()
 
-    counted = stash(sample.mapInArrow(count, "t long, n long").groupBy("t").agg(F.sum("n").alias("n")).where(F.col("n") >= FREQUENT), "frequent")
+    def meet(group: pa.Table) -> pa.Table:
+        keys, times = undeal(group["blob"].to_pylist(), [U, np.uint32])
+        order = np.argsort(keys)
+        keys, times = keys[order], times[order].astype(np.int64)
+        head = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1]]) if len(keys) else np.zeros(0, np.int64)
+        total = np.add.reduceat(times, head) if len(head) else times
+        often = total >= FREQUENT
+        got = pa.table({"t": pa.array(keys[head][often].view(np.int64)), "n": pa.array(total[often])})
+        tidy()
+        return got
+
+    ids = docs.select(_speaker(F.col("doc_id"), F.col("text")).alias("id"), "text").withColumn("_at", IdFilter.positions(F.col("id"), bits))
+    counted = ids.mapInArrow(count, "bucket int, blob binary").groupBy("bucket").applyInArrow(meet, "t long, n long")
+    counted = stash(counted, "frequent")
     # the list's bound: the least count above which it has room for all
     least, listed = FREQUENT, 0
-    for n, k in sorted(counted.groupBy("n").agg(F.count("*").alias("k")).collect(), reverse=True):
+    for times, k in sorted(counted.groupBy("n").agg(F.count("*").alias("k")).collect(), reverse=True):
         listed += k
         if listed > LISTED:
-            least = n + 1
+            least = times + 1
             break
     got = counted.where(F.col("n") >= least).toArrow()
     discard(counted)
-    token, n = got["t"].to_numpy().view(U), got["n"].to_numpy()
+    token, many = got["t"].to_numpy().view(U), got["n"].to_numpy()
     order = np.argsort(token)
-    return token[order], n[order].astype(np.int32)
+    return token[order], many[order].astype(np.int32)
 
 
 def _block(cls: np.ndarray, n: int) -> np.ndarray:
@@ -603,7 +625,9 @@ def _named(docs: DataFrame, words: int, share: int) -> tuple[DataFrame, DataFram
     tokens, n_classes = classes.agg(F.sum("n"), F.count("*")).first()
     entries = (100 - share) * (tokens or 0) // 100 + OVERLAP * n_classes
     n = shares(docs.sparkSession, entries * sum(np.dtype(k).itemsize for k in _ENTRY) // 4, BUCKET_BYTES)
-    shared = stash(_shared_tokens(texts, frequent_tokens(texts, classes, words), words, share, n), "matrix-tokens")
+    # a token and its count in 12 bytes
+    often = frequent_tokens(texts, classes, words, shares(docs.sparkSession, 12 * (tokens or 0), BUCKET_BYTES))
+    shared = stash(_shared_tokens(texts, often, words, share, n), "matrix-tokens")
     opened = stash(_openings(_matrix(shared, speakers, _hot_tokens(shared), n), share), "opened")
     discard(shared)
     # 3. open the groups
