@@ -26,6 +26,8 @@ from alignspark.llm.common import WORD, constants, table
 #: Hash buckets of the multinomials; prior n-grams of raw shape a bucket, which keep a small trusted set from
 #: condemning what it has not seen; neutral n-grams added to a text's length; lowest score kept.
 BUCKETS, PRIOR, NEUTRAL, THRESHOLD = 16384, 8, 16, -0.1
+#: Words of 64 ids that are broadcast at most.
+WORDS = 1 << 20
 SPACE = r"[\x20\x09-\x0D]"
 MEASURES = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
 OUT = [*MEASURES, "base_failed", "score", "kept"]
@@ -55,16 +57,30 @@ def trusted_ids(labels: DataFrame) -> DataFrame:
     return labels.where("quality = 1 AND doc_id IS NOT NULL").select("doc_id").distinct()
 
 
-def ratios(docs: DataFrame, labels: DataFrame) -> list[float]:
-    """log(trusted/raw) of each bucket, from counts over all documents."""
+def _marked(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """Texts and whether their documents are trusted (``t``, 1 or 0).
+
+    Trusted ids are set bits in words of 64 ids. Up to ``WORDS`` of these, which hold 67 million dense ids, are broadcast and no
+    text is shuffled; with more, ids meet ids and the texts are shuffled once. Both mark the same documents.
+    """
+    block, bit = F.shiftright(F.col("doc_id").cast("long"), 6), F.expr("shiftleft(1L, CAST(CAST(doc_id AS LONG) & 63 AS INT))")
+    ids = trusted_ids(labels)
+    words = ids.groupBy(block.alias("_block")).agg(F.bit_or(bit).alias("_bits"))
+    if words.count() <= WORDS:
+        near = docs.select(block.alias("_block"), bit.alias("_bit"), "text").join(F.broadcast(words), "_block", "left")
+        return near.select(F.coalesce((F.col("_bits").bitwiseAND(F.col("_bit")) != 0).cast("int"), F.lit(0)).alias("t"), "text")
     # rows without an id meet nothing, and stand under their texts' hashes instead of in one task
     named = F.col("doc_id").isNotNull()
     keyed = docs.select(F.coalesce("doc_id", F.xxhash64("text")).alias("_id"), named.alias("_named"), "text")
-    good = trusted_ids(labels).select(F.col("doc_id").alias("_id"), F.lit(True).alias("_named"), F.lit(1).alias("_t"))
-    marked = keyed.join(good, ["_id", "_named"], "left")
+    good = ids.select(F.col("doc_id").alias("_id"), F.lit(True).alias("_named"), F.lit(1).alias("_t"))
+    return keyed.join(good.hint("merge"), ["_id", "_named"], "left").select(F.coalesce("_t", F.lit(0)).alias("t"), "text")
+
+
+def ratios(docs: DataFrame, labels: DataFrame) -> list[float]:
+    """log(trusted/raw) of each bucket, from counts over all documents."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    grams = marked.select(
-        F.coalesce("_t", F.lit(0)).alias("t"), F.transform(F.regexp_extract_all(text, F.lit(WORD), F.lit(0)), lambda w: F.xxhash64(w)).alias("_h")
+    grams = _marked(docs, labels).select(
+        "t", F.transform(F.regexp_extract_all(text, F.lit(WORD), F.lit(0)), lambda w: F.xxhash64(w)).alias("_h")
     ).select("t", F.explode(F.expr(_grams())).alias("g"))
     counts = grams.groupBy("g").agg(F.count("*").alias("raw"), F.sum("t").alias("good")).collect()
     raw, good = [0] * BUCKETS, [0] * BUCKETS
